@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, langid, mixing, quality, simhash, token_output, url_filter
+from . import decontaminate, html_template, langid, mixing, quality, simhash, suffix_dedup, token_output, url_filter
 from .common import table
 from .url_filter import Rule
 
@@ -26,6 +26,10 @@ def tokenizer_path() -> str:
     return public_tokenizers.path(TOKENIZER)
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op2_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.round_trip(table(spark, sf_dir, "documents"), tokenizer_path()).select("doc_id", "start", "n_tokens", "ids_crc32")
 
@@ -48,6 +52,10 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs, langid.fit(docs)).select("doc_id", "held_out", "lang_pred", "score", "accepted")
 
 
+def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_template.extract(table(spark, sf_dir, "pages"))
+
+
 def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return quality.classify(docs, quality.fit_classifier(docs, table(spark, sf_dir, "labels")))
@@ -63,4 +71,8 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_output, op3_decontamination, op4_simhash, op5_url_filter, op6_language_id, op8_quality_classifier, op9_quality_rules, op10_mixing)}
+    own = (
+        op1_suffix_dedup, op2_token_output, op3_decontamination, op4_simhash, op5_url_filter, op6_language_id,
+        op7_html_extraction, op8_quality_classifier, op9_quality_rules, op10_mixing,
+    )
+    return {f.__name__: f for f in own}
