@@ -70,9 +70,15 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.plan(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", F.col("copies"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     own = (
         op1_suffix_dedup, op2_token_output, op3_decontamination, op4_simhash, op5_url_filter, op6_language_id,
-        op7_html_extraction, op8_quality_classifier, op9_quality_rules, op10_mixing,
+        op7_html_extraction, op8_quality_classifier, op9_quality_rules, op10_mixing, pipeline,
     )
     return {f.__name__: f for f in own}
