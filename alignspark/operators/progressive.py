@@ -47,7 +47,7 @@ def align(seqs: DataFrame, tree: str | DataFrame = "neighbor_joining", scoring:
     collapse_equal: equal sequences of a family are aligned once and share the row (changes the tree a little).
     """
     o = K.Options(scoring=scoring or Scoring.experiment(), **options)
-    slim = seqs.select("family", "seq_id", "seq")
+    slim, method = seqs.select("family", "seq_id", "seq"), tree if isinstance(tree, str) else "neighbor_joining"
 
     def aligned(family: str, ids: list[int], strings: list[str], merges: list[dict] | None) -> pa.Table:
         some = sorted(set(strings), key=strings.index) if collapse_equal else strings
@@ -59,7 +59,7 @@ def align(seqs: DataFrame, tree: str | DataFrame = "neighbor_joining", scoring:
                 if named != ids or collapse_equal:
                     raise ValueError(f"family {family}: the tree's leaves aren't its sequences")
             else:
-                guide = build_tree(K.distance_matrix(some, metric, o.scoring, o.traceback), tree, linkage, root, o.seed)
+                guide = build_tree(K.distance_matrix(some, metric, o.scoring, o.traceback), method, linkage, root, o.seed)
             rows, _ = K.progressive(some, guide, o, family)
         by = dict(zip(some, rows)) if collapse_equal else None
         return pa.table({"family": pa.array([family] * len(ids), pa.string()), "seq_id": pa.array(ids, pa.int64()), "aligned": pa.array([by[s] for s in strings] if by else rows, pa.string())})

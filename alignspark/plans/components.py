@@ -29,9 +29,12 @@ def shingle_sets(docs: DataFrame, words: int = 5) -> DataFrame:
     Texts of fewer words are one shingle; texts without words have none and no class.
     """
     w = F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "")
+    docs = docs.select("doc_id", w.alias("w")).where("size(w) > 0")
     n = F.greatest(F.size("w") - (words - 1), F.lit(1))
-    grams = F.transform(F.sequence(F.lit(1), n), lambda i: F.xxhash64(F.array_join(F.slice("w", i, F.lit(words)), " ")))
-    sets = docs.select("doc_id", w.alias("w")).where("size(w) > 0").select("doc_id", F.array_sort(F.array_distinct(grams)).alias("shingles"))
+    # shifted copies side by side: a lambda that sliced w anew for each place would take time that grows with the square
+    side = F.arrays_zip(*[F.slice("w", k + 1, n).alias(f"w{k}") for k in range(words)])
+    grams = F.transform(side, lambda x: F.xxhash64(F.concat_ws(" ", *[x[f"w{k}"] for k in range(words)])))
+    sets = docs.select("doc_id", F.array_sort(F.array_distinct(grams)).alias("shingles"))
     sets = sets.withColumn("key", F.sha2(F.array_join("shingles", ","), 256))
     first = sets.groupBy("key").agg(F.min("doc_id").alias("rep"))
     return sets.join(first, "key").select("doc_id", "rep", "shingles")
