@@ -35,7 +35,7 @@ from .common import cut, mix64, parts_for
 
 LENGTH, K = 50, 20
 #: Bytes hashed at once, and bytes whose runs are gathered before they are sent.
-STEP, GATHER = 1 << 21, 48 << 20
+STEP, GATHER = 1 << 20, 12 << 20
 BASE = 0x9E3779B97F4A7C15 | 1
 _BYTE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(BASE))
 PACKED = "at int, kind byte, data binary"
@@ -174,7 +174,7 @@ def _find_runs(batches: Iterator[pa.RecordBatch], buckets: int, drawers: int, le
             data.append(_pack_rows(doc[i], row[i], place[i].astype(np.uint32), n[i].astype(np.uint32), (key[i] >> np.uint64(32)).astype(np.uint32), whole[i]))
         yield _batch(at, [RUNS] * len(at), data)
 
-    for batch in batches:
+    for batch in (whole.slice(i, 500) for whole in batches for i in range(0, whole.num_rows, 500)):
         for doc, row, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             data = text.encode("utf-8", "replace")
             if len(data) < length:
@@ -240,14 +240,14 @@ def _fetch(docs: pa.Table, asked: pa.Table, buckets: int, length: int) -> pa.Tab
 
 def suffix_array(codes: np.ndarray, longest: int) -> tuple[np.ndarray, np.ndarray]:
     """(suffix array, common prefix of each suffix and the one before it), by doubling; prefixes count up to `longest` codes."""
-    ranks, step = [np.unique(codes, return_inverse=True)[1].astype(np.int64)], 1
+    ranks, step = [np.unique(codes, return_inverse=True)[1].astype(np.int32)], 1
     while True:
         r, n = ranks[-1], len(codes)
         if step > longest or r.max(initial=0) == n - 1:
             break
-        pair = r * (n + 1)
+        pair = r.astype(np.int64) * (n + 1)
         pair[: n - step] += r[step:] + 1
-        ranks.append(np.unique(pair, return_inverse=True)[1].astype(np.int64))
+        ranks.append(np.unique(pair, return_inverse=True)[1].astype(np.int32))
         step *= 2
     order = np.argsort(ranks[-1], kind="stable")
     a, b, common = order[:-1].copy(), order[1:].copy(), np.zeros(max(len(order) - 1, 0), np.int64)
@@ -283,15 +283,35 @@ def maximal_repeats(common: list[int], before: list[int], doc: list[int], least:
             stack.append([here, start, low, code])
 
 
-def _repeats(table: pa.Table, drawers: int, length: int) -> pa.Table:
+def _repeats(table: pa.Table, drawers: int, length: int, most: int = 1 << 19) -> pa.Table:
+    """Spans to remove, from the texts of one bucket; keys are taken together up to `most` bytes at once."""
     parts = [unpack(x) for x in table.column("data").to_pylist()]
-    doc, row, place, _, size, data = (np.concatenate(x) for x in zip(*parts, strict=True))
+    doc, row, place, key, size, data = (np.concatenate(x) for x in zip(*parts, strict=True))
     starts = np.cumsum(size) - size
+    order = np.argsort(key, kind="stable")
+    upto = np.cumsum(size[order])
+    last = np.append(np.flatnonzero(np.diff(key[order])), len(order) - 1) if len(order) else np.zeros(0, np.int64)  # of each key
+    gone: list[np.ndarray] = [np.zeros((0, 4), np.int64)]
+    first = 0
+    while first < len(order):
+        done = upto[first - 1] if first else 0
+        fit = np.searchsorted(upto[last], done + most, "right")
+        end = int(last[min(max(fit - 1, np.searchsorted(last, first)), len(last) - 1)]) + 1
+        mine = order[first:end]
+        first = end
+        texts = [data[a : a + n] for a, n in zip(starts[mine].tolist(), size[mine].tolist(), strict=True)]
+        gone.append(_repeats_of(texts, doc[mine], row[mine], place[mine].astype(np.int64), length))
+    all_ = np.concatenate(gone)
+    return pa.table(_columns([(dr, GONE, x) for dr, x in _gone(*all_.T, drawers)]))
+
+
+def _repeats_of(texts: list[np.ndarray], doc: np.ndarray, row: np.ndarray, place: np.ndarray, length: int) -> np.ndarray:
+    """doc, row, place, length of each occurrence of a maximal repeat that starts in an earlier document too."""
+    size = np.array([len(t) for t in texts], np.int64)
     # each text gets a mark of its own after it, which ends all common prefixes
-    of = np.repeat(np.arange(len(size)), size + 1)
-    at = np.arange(len(of)) - np.repeat(np.cumsum(size + 1) - size - 1, size + 1)
-    end = at == size[of]
-    codes = np.where(end, 256 + of, data[np.minimum(starts[of] + at, len(data) - 1)].astype(np.int64))
+    codes = np.concatenate([x for k, t in enumerate(texts) for x in (t.astype(np.int32), np.array([256 + k], np.int32))])
+    of = np.repeat(np.arange(len(size), dtype=np.int32), size + 1)
+    at = np.arange(len(of)) - (np.cumsum(size + 1) - size - 1)[of]
     order, common = suffix_array(codes, int(size.max(initial=1)))
     left = np.empty(len(codes), np.int64)
     left[1:] = codes[:-1]
@@ -306,8 +326,7 @@ def _repeats(table: pa.Table, drawers: int, length: int) -> pa.Table:
         for n, i, j, low in maximal_repeats(one.tolist(), left[mine].tolist(), d.tolist(), length):
             late = mine[i : j + 1][d[i : j + 1] > low]
             gone.append(np.stack([doc[of[late]], row[of[late]], place[of[late]] + at[late], np.full(len(late), n)], 1))
-    all_ = np.concatenate(gone)
-    return pa.table(_columns([(dr, GONE, x) for dr, x in _gone(*all_.T, drawers)]))
+    return np.concatenate(gone)
 
 
 def merged(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -357,7 +376,7 @@ def _with_row(docs: DataFrame) -> DataFrame:
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, buckets: int | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of docs."""
-    buckets = buckets or max(61, 8 * parts_for(docs) + 1)
+    buckets = buckets or max(61, 16 * parts_for(docs) + 1)
     drawers = buckets
     rows = _with_row(docs)
     placed = rows.withColumn("at", F.coalesce(F.pmod("doc_id", F.lit(drawers)), F.lit(0)).cast("int"))
