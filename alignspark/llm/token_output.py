@@ -45,10 +45,15 @@ class CachedTokenizer:
             self.known = {}
         chunks = [[c for line in t.split("\n") for c in line.split(" ")] for t in texts]
         new = list({c for x in chunks for c in x if c not in self.known})
-        for i in range(0, len(new), 20_000):
-            some = new[i : i + 20_000]
-            for c, e in zip(some, self.tokenizer.encode_batch(some, add_special_tokens=False), strict=True):
-                self.known[c] = np.array(e.ids, "<u4").tobytes()
+        for i in range(0, len(new), 5000):
+            some = new[i : i + 5000]
+            # one call for many chunks: their tokens are told apart by where they stand
+            e = self.tokenizer.encode(" ".join(some), add_special_tokens=False)
+            ends = np.cumsum([len(c) + 1 for c in some])
+            of = np.searchsorted(ends, np.fromiter((a for a, _ in e.offsets), np.int64, len(e.ids)), "right")
+            ids, cuts = np.array(e.ids, "<u4"), np.searchsorted(of, np.arange(len(some) + 1))
+            for k, c in enumerate(some):
+                self.known[c] = ids[cuts[k] : cuts[k + 1]].tobytes()
         return [b"".join(map(self.known.__getitem__, x)) for x in chunks]
 
 
