@@ -22,7 +22,7 @@ itself; texts of any length are cut whole; an empty table gives an empty result;
 from __future__ import annotations
 
 import hashlib
-import io
+import struct
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,16 +42,23 @@ PACKED = "at int, kind byte, data binary"
 RUNS, GONE, ASKED = 0, 1, 2
 
 
+_ENTRY = struct.Struct("<cBQ")  # kind and bytes of an array's items, number of items
+
+
 def pack(*columns: np.ndarray) -> bytes:
-    """Arrays of one length as compressed bytes; integers of growing columns should come as differences."""
-    out = io.BytesIO()
-    np.savez(out, *columns)
-    return zstandard.ZstdCompressor(level=1).compress(out.getvalue())
+    """Arrays as compressed bytes; integers that grow should come as differences."""
+    head = b"".join(_ENTRY.pack(c.dtype.kind.encode(), c.dtype.itemsize, len(c)) for c in columns)
+    return zstandard.compress(b"".join([bytes([len(columns)]), head, *(np.ascontiguousarray(c).tobytes() for c in columns)]), 1)
 
 
 def unpack(data: bytes) -> list[np.ndarray]:
-    with np.load(io.BytesIO(zstandard.ZstdDecompressor().decompress(data))) as x:
-        return [x[k] for k in x.files]
+    data = zstandard.decompress(data)
+    at, out = 1 + data[0] * _ENTRY.size, []
+    for k in range(data[0]):
+        kind, width, n = _ENTRY.unpack_from(data, 1 + k * _ENTRY.size)
+        out.append(np.frombuffer(data, f"<{kind.decode()}{width}", n, at))
+        at += n * width
+    return out
 
 
 def _pack_rows(doc: np.ndarray, row: np.ndarray, *more: np.ndarray) -> bytes:
@@ -376,8 +383,8 @@ def _with_row(docs: DataFrame) -> DataFrame:
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, buckets: int | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of docs."""
-    buckets = buckets or max(61, 16 * parts_for(docs) + 1)
-    drawers = buckets
+    buckets = buckets or max(61, 8 * parts_for(docs) + 1)
+    drawers = max(1, buckets // 4)
     rows = _with_row(docs)
     placed = rows.withColumn("at", F.coalesce(F.pmod("doc_id", F.lit(drawers)), F.lit(0)).cast("int"))
     runs = rows.where("doc_id IS NOT NULL").mapInArrow(lambda b: _find_runs(b, buckets, drawers, length), PACKED)
