@@ -8,6 +8,25 @@ _WORD = r"'[^\x20\x09-\x0D]+'"
 _LOWER = "translate({}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 
+def _op1() -> str:
+    """Bytes are handled as pairs of hex digits."""
+    return """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+w AS (SELECT doc_id, p, substr(h, 2 * p - 1, 100) AS s FROM (SELECT doc_id, h, unnest(range(1, CAST(length(h) // 2 AS BIGINT) - 48)) AS p FROM d WHERE length(h) >= 100)),
+f AS (SELECT s, min(doc_id) AS first FROM w GROUP BY 1),
+hit AS (SELECT w.doc_id, w.p FROM w JOIN f USING (s) WHERE w.doc_id > f.first),
+g AS (SELECT doc_id, p, sum(new) OVER (PARTITION BY doc_id ORDER BY p) AS k
+  FROM (SELECT doc_id, p, CASE WHEN p <= lag(p) OVER (PARTITION BY doc_id ORDER BY p) + 50 THEN 0 ELSE 1 END AS new FROM hit)),
+span AS (SELECT doc_id, min(p) AS a, max(p) + 49 AS b FROM g GROUP BY doc_id, k),
+piece AS (SELECT doc_id, a, substr(h, 2 * before + 1, 2 * (a - before - 1)) AS t
+  FROM (SELECT span.*, h, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY a), 0) AS before FROM span JOIN d USING (doc_id))),
+cut AS (SELECT doc_id, string_agg(t, '' ORDER BY a) AS t FROM piece GROUP BY 1),
+sums AS (SELECT doc_id, sum(b - a + 1) AS removed, count(*) AS spans, max(b) AS upto FROM span GROUP BY 1)
+SELECT doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(spans, 0) AS BIGINT) AS n_spans,
+  sha256(unhex(coalesce(t, '') || substr(h, 2 * coalesce(upto, 0) + 1))) AS kept_sha256
+FROM d LEFT JOIN sums USING (doc_id) LEFT JOIN cut USING (doc_id)"""
+
+
 def _op3() -> str:
     words = rf"regexp_extract_all({_LOWER.format('coalesce(text, {0})').format(chr(39) * 2)}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
     return f"""
@@ -57,4 +76,4 @@ SELECT doc_id, size, source_size, target, CAST(copies * size AS BIGINT) AS taken
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_decontamination": _op3(), "op5_url_filter": _op5(), "op10_mixing": _op10()}
+    return {"op1_suffix_dedup": _op1(), "op3_decontamination": _op3(), "op5_url_filter": _op5(), "op10_mixing": _op10()}
