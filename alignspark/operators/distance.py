@@ -38,7 +38,7 @@ def pairwise_distances(seqs: DataFrame, metric: str = "mismatch_gap", scoring: S
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            d = [K.distance(a, b, metric, scoring) for a, b in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist())]
+            d = K.distances(list(zip(batch.column(3).to_pylist(), batch.column(4).to_pylist())), metric, scoring)
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(d, pa.float64())], names=["family", "i", "j", "distance"])
 
     return p.mapInArrow(run, DISTANCES)

@@ -54,17 +54,13 @@ def table(sub: np.ndarray, gap: float) -> np.ndarray:
     return h
 
 
-def scores(pairs: Sequence[tuple[str, str]], scoring: Scoring, most_cells: int = 1 << 20) -> np.ndarray:
-    """Optimal scores of many pairs: pairs of like length go through the rows together."""
-    out = np.zeros(len(pairs), np.int64 if scoring.is_whole else float)
+def _like(pairs: Sequence[tuple[str, str]], scoring: Scoring, most_cells: int) -> Iterator[tuple[list[int], np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Pairs of like length together: (their places, lengths of both, symbol numbers of both, scores of symbols)."""
     order = sorted(range(len(pairs)), key=lambda i: (len(pairs[i][1]), len(pairs[i][0])))
     symbols, strings = coded([s for p in pairs for s in p])
-    t = scoring.table(symbols)
-    if not symbols:
-        t = np.zeros((1, 1), out.dtype)
+    t = scoring.table(symbols) if symbols else np.zeros((1, 1), np.int64 if scoring.is_whole else float)
     at = 0
     while at < len(order):
-        width = 1 + len(pairs[order[at]][1])
         upto = at + 1
         while upto < len(order) and (upto + 1 - at) * (1 + len(pairs[order[upto]][1])) <= most_cells and upto - at < 4096:
             upto += 1
@@ -72,16 +68,20 @@ def scores(pairs: Sequence[tuple[str, str]], scoring: Scoring, most_cells: int =
         at = upto
         a, b = [strings[2 * i] for i in mine], [strings[2 * i + 1] for i in mine]
         la, lb = np.array([len(x) for x in a]), np.array([len(x) for x in b])
-        width, height = int(lb.max()) + 1, int(la.max())
-        second = np.zeros((len(mine), width - 1), np.int64)
-        first = np.zeros((len(mine), max(height, 1)), np.int64)
+        first, second = np.zeros((len(mine), max(int(la.max()), 1)), np.int64), np.zeros((len(mine), int(lb.max())), np.int64)
         for k, (x, y) in enumerate(zip(a, b)):
             first[k, : len(x)], second[k, : len(y)] = x, y
-        steps = np.arange(width) * np.asarray(scoring.gap, t.dtype)
-        row = np.tile(steps, (len(mine), 1))
-        lane = np.arange(len(mine))
+        yield mine, la, lb, first, second, t
+
+
+def scores(pairs: Sequence[tuple[str, str]], scoring: Scoring, most_cells: int = 1 << 18) -> np.ndarray:
+    """Optimal scores of many pairs: pairs of like length go through the rows of their tables together."""
+    out = np.zeros(len(pairs), np.int64 if scoring.is_whole else float)
+    for mine, la, lb, first, second, t in _like(pairs, scoring, most_cells):
+        steps = np.arange(second.shape[1] + 1) * np.asarray(scoring.gap, t.dtype)
+        row, lane = np.tile(steps, (len(mine), 1)), np.arange(len(mine))
         done = np.where(la == 0, row[lane, lb], 0)
-        for i in range(height):
+        for i in range(int(la.max())):
             new = np.empty_like(row)
             new[:, 0] = (i + 1) * scoring.gap
             np.maximum(row[:, :-1] + t[first[:, i][:, None], second], row[:, 1:] + scoring.gap, out=new[:, 1:])
@@ -93,6 +93,49 @@ def scores(pairs: Sequence[tuple[str, str]], scoring: Scoring, most_cells: int =
     return out
 
 
+def path_counts(pairs: Sequence[tuple[str, str]], scoring: Scoring, tie: str = "dul", most_cells: int = 1 << 18) -> np.ndarray:
+    """(matches, mismatches, letter-gap columns) of the path that traceback() takes, for many pairs, without a traceback.
+
+    A cell's path goes on from one cell before it, which the tie order fixes, so its counts are that cell's and one step
+    more; cells reached from the left take theirs from the nearest cell to the left that isn't.
+    """
+    out = np.zeros((len(pairs), 3), np.int64)
+    for mine, la, lb, first, second, t in _like(pairs, scoring, most_cells):
+        n, width, g = len(mine), second.shape[1] + 1, scoring.gap
+        steps = np.arange(width) * np.asarray(g, t.dtype)
+        row, lane = np.tile(steps, (n, 1)), np.arange(n)
+        same, both, place = np.zeros((n, width), np.int32), np.zeros((n, width), np.int32), np.arange(width)
+        for i in range(int(la.max())):
+            sub, letter = t[first[:, i][:, None], second], first[:, i][:, None] == second
+            diagonal, up = row[:, :-1] + sub, row[:, 1:] + g
+            new = np.empty_like(row)
+            new[:, 0] = (i + 1) * g
+            np.maximum(diagonal, up, out=new[:, 1:])
+            new = np.maximum.accumulate(new - steps, axis=1) + steps
+            here = new[:, 1:]
+            open_ = {"d": diagonal == here, "u": up == here, "l": new[:, :-1] + g == here} if t.dtype.kind == "i" else {"d": np.abs(diagonal - here) < 1e-9, "u": np.abs(up - here) < 1e-9, "l": np.abs(new[:, :-1] + g - here) < 1e-9}
+            move = np.full(here.shape, 3, np.int8)
+            for k, m in reversed(list(enumerate(tie))):
+                move[open_[m]] = k
+            d, left = move == tie.index("d"), move == tie.index("l")
+            next_same, next_both = same.copy(), both.copy()  # up keeps the cell above
+            np.copyto(next_same[:, 1:], same[:, :-1] + letter, where=d)
+            np.copyto(next_both[:, 1:], both[:, :-1] + 1, where=d)
+            next_same[:, 0] = next_both[:, 0] = 0
+            if left.any():
+                from_ = np.zeros((n, width), np.int64)
+                np.copyto(from_[:, 1:], np.broadcast_to(place[1:], left.shape), where=~left)
+                from_ = np.maximum.accumulate(from_, axis=1)
+                next_same, next_both = np.take_along_axis(next_same, from_, 1), np.take_along_axis(next_both, from_, 1)
+            done = la <= i  # shorter first strings keep their last row
+            if done.any():
+                next_same[done], next_both[done], new[done] = same[done], both[done], row[done]
+            same, both, row = next_same, next_both, new
+        s, d = same[lane, lb], both[lane, lb]
+        out[mine] = np.stack([s, d - s, la + lb - 2 * d], 1)
+    return out
+
+
 def traceback(h: np.ndarray, sub: np.ndarray, gap: float, tie: str = "dul") -> str:
     """Moves of one optimal path; where several moves are optimal, the first of `tie` (seen from the end) is taken."""
     i, j, moves = h.shape[0] - 1, h.shape[1] - 1, []
@@ -246,43 +289,44 @@ def kmer_distance(a: str, b: str, k: int = 3) -> float:
     return 1 - sum((x & y).values()) / short if short else float(a != b)
 
 
-def distance(a: str, b: str, metric: str, scoring: Scoring, tie: str = "dul") -> float:
+def from_counts(counts: np.ndarray, metric: str) -> np.ndarray:
+    """Distances of a metric that only needs (matches, mismatches, gaps)."""
+    same, other, gaps = counts.T.astype(float)
+    if metric == "mismatch_gap":
+        return np.divide(other + gaps, same + other + gaps, out=np.zeros(len(same)), where=same + other + gaps > 0)
+    p = np.divide(other, same + other, out=np.zeros(len(same)), where=same + other > 0)
+    return p if metric == "p_distance" else -0.75 * np.log(np.maximum(1 - 4 * p / 3, 1e-6))
+
+
+def distances(pairs: Sequence[tuple[str, str]], metric: str, scoring: Scoring, tie: str = "dul") -> np.ndarray:
     if metric == "edit":
-        return float(-scores([(a, b)], Scoring.unit_edit())[0])
+        return -scores(pairs, Scoring.unit_edit()).astype(float)
     if metric == "kmer":
-        return kmer_distance(a, b)
+        return np.array([kmer_distance(a, b) for a, b in pairs], float)
     if metric == "score_normalised":
-        ab, aa, bb = scores([(a, b), (a, a), (b, b)], scoring)
-        return float(1 - ab / min(aa, bb)) if min(aa, bb) else float(a != b)
-    same, other, gaps = pair_counts(*spell(a, b, align_moves(a, b, scoring, tie)[0]))
-    if metric == "mismatch_gap":
-        return (other + gaps) / (same + other + gaps) if same + other + gaps else 0.0
-    p = other / (same + other) if same + other else 0.0
-    if metric == "p_distance":
-        return p
-    if metric == "jc_corrected":
-        return float(-0.75 * np.log(max(1 - 4 * p / 3, 1e-6)))
+        own = scores([(s, s) for p in pairs for s in p], scoring).reshape(-1, 2).min(1)
+        return np.array([1 - v / o if o else float(a != b) for v, o, (a, b) in zip(scores(pairs, scoring), own, pairs)], float)
+    if metric in ("mismatch_gap", "p_distance", "jc_corrected"):
+        return from_counts(path_counts(pairs, scoring, tie), metric)
     raise ValueError(f"unknown metric {metric}")
 
 
+def distance(a: str, b: str, metric: str, scoring: Scoring, tie: str = "dul") -> float:
+    return float(distances([(a, b)], metric, scoring, tie)[0])
+
+
 def distance_matrix(seqs: Sequence[str], metric: str, scoring: Scoring, tie: str = "dul") -> np.ndarray:
     n = len(seqs)
     d = np.zeros((n, n))
     at = [(i, j) for i in range(n) for j in range(i + 1, n)]
-    if metric in ("edit", "score_gap", "score_normalised"):
-        s = scores([(seqs[i], seqs[j]) for i, j in at], Scoring.unit_edit() if metric == "edit" else scoring) if at else np.zeros(0)
-        own = scores([(x, x) for x in seqs], scoring) if metric == "score_normalised" else None
-        for (i, j), v in zip(at, s):
-            if metric == "edit":
-                d[i, j] = -v
-            elif metric == "score_gap":
-                d[i, j] = s.max() - v
-            else:
-                least = min(own[i], own[j])
-                d[i, j] = 1 - v / least if least else float(seqs[i] != seqs[j])
-    else:
-        for i, j in at:
-            d[i, j] = distance(seqs[i], seqs[j], metric, scoring, tie)
+    if at:
+        pairs = [(seqs[i], seqs[j]) for i, j in at]
+        if metric == "score_gap":
+            v = scores(pairs, scoring)
+            v = v.max() - v
+        else:
+            v = distances(pairs, metric, scoring, tie)
+        d[tuple(zip(*at))] = v
     return d + d.T
 
 

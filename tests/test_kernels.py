@@ -54,6 +54,15 @@ def test_all_ways_to_a_score_agree():
             assert 3 * m - g == K.scores([(a, b)], E)[0]
 
 
+def test_counts_without_a_traceback():
+    rnd = random.Random(11)
+    for s in (E, W, U, Scoring(2.5, -0.5, -1.25)):
+        pairs = [tuple(words(rnd, 2, rnd.choice([3, 20, 40]), rnd.choice(["AC", "ACGT"]))) for _ in range(60)]
+        for tie in ("dul", "dlu", "uld", "udl", "ldu", "lud"):
+            want = [K.pair_counts(*K.spell(a, b, K.align_moves(a, b, s, tie)[0])) for a, b in pairs]
+            assert K.path_counts(pairs, s, tie, 300).tolist() == [list(w) for w in want]
+
+
 def test_scheme_checks():
     with pytest.raises(ValueError):
         Scoring(1, 1, -1).validate()
