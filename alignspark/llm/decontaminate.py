@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, tidy
 
 SIZE, BLOCK_CHARS = 10, 4 << 20
 _TO_WORDS = bytes(c + 32 if 0x41 <= c <= 0x5A else c if 0x30 <= c <= 0x39 or 0x61 <= c <= 0x7A or c >= 0x80 else 0x20 for c in range(256))
@@ -120,7 +120,7 @@ def _marked(rows: DataFrame, benchmark: DataFrame, size: int, block_chars: int)
                     items[k] = sorted({*items[k], *found})
                 yield pa.RecordBatch.from_arrays([*batch.columns[:-2], pa.array(spans, pa.list_(pa.int64())), pa.array(items, pa.list_(pa.string()))], names=batch.schema.names)
 
-        rows = rows.mapInArrow(find, rows.schema)
+        rows = rows.mapInArrow(tidy(find), rows.schema)
     return rows
 
 
@@ -139,7 +139,7 @@ def find(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, block_chars: i
             items = batch.column(3).to_pylist()
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(hit, pa.int64()), pa.array(map(len, items), pa.int64()), pa.array([hashlib.sha256(",".join(x).encode()).hexdigest() for x in items], pa.string()), pa.array([h > 0 for h in hit], pa.bool_())], names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    return rows.mapInArrow(digest, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
+    return rows.mapInArrow(tidy(digest), "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean")
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, block_chars: int = BLOCK_CHARS) -> DataFrame:

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, tidy
 from .url_filter import split_url
 
 TOKEN = re.compile(
@@ -126,7 +126,7 @@ def template_tokens(pages: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.string() if i < 2 else pa.int64()) for i in range(7)], names=["host", "token", "vector", "pages", "times", "chars", "once"])
 
     rows = pages.select(_host().alias("host"), F.xxhash64("page_id", "url").alias("term"), F.col("html").cast("string"))
-    found = rows.mapInArrow(run, STATS).groupBy("host", "token")
+    found = rows.mapInArrow(tidy(run), STATS).groupBy("host", "token")
     # sums of hashes may wrap: they are taken in halves
     return found.agg(((F.sum(F.col("vector").bitwiseAND(F.lit(0xFFFFFFFF))) + F.sum(F.shiftright("vector", 32)) * F.lit(1 << 20)) % F.lit((1 << 61) - 1)).alias("vector"), *[F.sum(c).alias(c) for c in ("pages", "times", "chars", "once")])
 
@@ -200,4 +200,4 @@ def extract(pages: DataFrame) -> DataFrame:
             text = [main_text(h, a) for h, a in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(text, pa.string()), pa.array(map(len, text), pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return rows.mapInArrow(tidy(run), "page_id long, url string, text string, n_chars long")

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Words, fold, mix64
+from .common import Words, fold, mix64, tidy
 from .textscore import MAX_KEPT, MUL
 
 ORDER, PER_LANGUAGE, MOST_DOCS, MOST_CHARS = 4, 150, 20_000, 200_000
@@ -204,4 +204,4 @@ def predict(docs: DataFrame, models: LanguageModels) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(entropy, pa.float64()), pa.array(accepted, pa.bool_())], names=["doc_id", "held_out", "lang_pred", "score", "entropy", "accepted"])
 
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce(fold(F.col("doc_id")) == 2, F.lit(False)).alias("held_out"), F.col("text").cast("string"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, entropy double, accepted boolean")
+    return rows.mapInArrow(tidy(run), "doc_id long, held_out boolean, lang_pred string, score double, entropy double, accepted boolean")

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, mix64
+from .common import fold, mix64, tidy
 from .textscore import Model, Scorer, labelled_sample, train_embeddings, train_logistic
 
 SYMBOLS, SPACES = b"#*$%&|<>", b" \t\n\v\f\r"
@@ -83,7 +83,7 @@ def fit_rules(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAIN) -> Mode
 def rate(docs: DataFrame, model: Model, min_probability: float = MIN_PROBABILITY) -> DataFrame:
     """The rules' counts, the model's probability and the verdict for each row of docs; one pass, no shuffle."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lambda batches: _rate(batches, held.value, min_probability), RATED)
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(tidy(lambda batches: _rate(batches, held.value, min_probability)), RATED)
 
 
 def keep_good(docs: DataFrame, model: Model, min_probability: float = MIN_PROBABILITY) -> DataFrame:
@@ -98,7 +98,7 @@ def keep_good(docs: DataFrame, model: Model, min_probability: float = MIN_PROBAB
                 verdicts = [x.column(RATED_NAMES.index("kept")) for x in _rate(iter([judged]), held.value, min_probability)]
                 yield batch.filter(pa.concat_arrays(verdicts))
 
-    return docs.mapInArrow(kept, schema)
+    return docs.mapInArrow(tidy(kept), schema)
 
 
 def fit_classifier(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAIN) -> Model:
@@ -120,4 +120,4 @@ def classify(docs: DataFrame, model: Model, good: float = GOOD) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(p), pa.array((p >= good).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce(fold(F.col("doc_id")) == 2, F.lit(False)).alias("held_out"), F.col("text").cast("string"))
-    return rows.mapInArrow(score, "doc_id long, held_out boolean, score double, predicted int")
+    return rows.mapInArrow(tidy(score), "doc_id long, held_out boolean, score double, predicted int")

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, UPPER, cut
+from .common import LOWER, UPPER, cut, tidy
 
 SHINGLE, SEED, DISTANCE = 3, 42, 2
 #: The ring: (lowest bit, bits) of its segments; the first half of a segment is its lower bits.
@@ -59,7 +59,7 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED) -> D
             fp = np.array([fingerprint(t, shingle, seed) for t in batch.column(1).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(tidy(run), "doc_id long, fp long")
 
 
 def _keys(fp: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
@@ -175,7 +175,7 @@ def links(nodes: DataFrame) -> DataFrame:
             yield out(a, b)
 
     filed = nodes.select("fp").mapInArrow(file, "number byte, key long, fp long")
-    return filed.repartition("number", "key").sortWithinPartitions("number", "key").mapInArrow(link, "fp long, to long").distinct()
+    return filed.repartition("number", "key").sortWithinPartitions("number", "key").mapInArrow(tidy(link), "fp long, to long").distinct()
 
 
 def label(edges: DataFrame) -> DataFrame:

@@ -31,7 +31,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, mix64, parts_for
+from .common import cut, mix64, parts_for, tidy
 
 LENGTH, K = 50, 20
 #: Bytes hashed at once, and bytes whose runs are gathered before they are sent.
@@ -387,7 +387,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, buckets: int | None =
     drawers = max(1, buckets // 4)
     rows = _with_row(docs)
     placed = rows.withColumn("at", F.coalesce(F.pmod("doc_id", F.lit(drawers)), F.lit(0)).cast("int"))
-    runs = rows.where("doc_id IS NOT NULL").mapInArrow(lambda b: _find_runs(b, buckets, drawers, length), PACKED)
+    runs = rows.where("doc_id IS NOT NULL").mapInArrow(tidy(lambda b: _find_runs(b, buckets, drawers, length)), PACKED)
     found = cut(runs.groupBy("at").applyInArrow(lambda t: _compare_runs(t, drawers, length), PACKED), "runs")
     asked = found.where(F.col("kind") == ASKED)
     texts = placed.where("doc_id IS NOT NULL").groupBy("at").cogroup(asked.groupBy("at")).applyInArrow(lambda d, a: _fetch(d, a, buckets, length), PACKED)

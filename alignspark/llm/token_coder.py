@@ -18,7 +18,7 @@ import zlib
 
 import numpy as np
 
-BLOCK, MOST_LANES, MOST_ID = 4096, 2048, 0xFFFF
+BLOCK, MOST_LANES, MOST_ID = 4096, 1024, 0xFFFF
 SLOTS2, SLOTS1, SCALE, FIRST = 4096, 1024, 12, 128
 U = np.uint64
 TOP, BOTTOM, ALL = U(1 << 48), U(1 << 32), U(0xFFFFFFFFFFFFFFFF)
@@ -88,9 +88,10 @@ class _Encoder(_Lanes):
         self.out_lane: list[np.ndarray] = []
         self.out_word: list[np.ndarray] = []
         self.ids = ids
-        key = np.where(np.arange(len(ids))[:, None] < lengths, (self.lane << 16) | ids, (self.lane << 16))
+        lane = (self.lane << 16).astype(np.int32)  # lanes and ids together stay below 2**31
+        key = np.where(np.arange(len(ids))[:, None] < lengths, lane | ids, lane)
         self.kinds, at = np.unique(key, return_inverse=True)
-        self.kind, self.seen_len = at.reshape(ids.shape), lengths
+        self.kinds, self.kind, self.seen_len = self.kinds.astype(np.int64), at.reshape(ids.shape).astype(np.int32), lengths
 
     def look_back(self, t: int) -> None:
         """Order-0 frequencies from the first t ids."""
@@ -118,7 +119,7 @@ class _Encoder(_Lanes):
             self.low[lanes], self.range[lanes] = low << U(16), wide << U(16)
 
     def step(self, t: int, n: int) -> None:
-        ids = self.ids[t, :n]
+        ids = self.ids[t, :n].astype(np.int64)
         if t >= FIRST and not t & (t - 1):
             self.look_back(t)
         self.guess(n)
@@ -187,8 +188,9 @@ class _Decoder(_Lanes):
             self.low[lanes], self.range[lanes] = low << U(16), wide << U(16)
 
     def look_back(self, t: int) -> None:
-        key = ((self.lane << 16) | self.ids[:t])[np.arange(t)[:, None] < self.sizes]
+        key = ((self.lane << 16).astype(np.int32) | self.ids[:t])[np.arange(t)[:, None] < self.sizes]
         kinds, times = np.unique(key, return_counts=True)
+        kinds = kinds.astype(np.int64)
         self.lo, self.n, self.escape = frequencies(kinds >> 16, times, len(self.lane), t)
         self.kinds = kinds & 0xFFFF
         self.slots = np.full(len(self.lane) << SCALE, -1, np.int32)
@@ -242,7 +244,7 @@ def encode_blocks(blocks: list[np.ndarray]) -> list[bytes]:
         for start in range(0, len(order), MOST_LANES):
             mine = order[start : start + MOST_LANES]
             lengths = np.array([len(blocks[i]) for i in mine])
-            ids = np.zeros((lengths.max(initial=0), len(mine)), np.int64)
+            ids = np.zeros((lengths.max(initial=0), len(mine)), np.int32)
             for lane, i in enumerate(mine):
                 ids[: lengths[lane], lane] = blocks[i]
             coder = _Encoder(ids, lengths)
@@ -261,12 +263,12 @@ def decode_blocks(streams: list[bytes], lengths: list[int]) -> list[np.ndarray]:
         for start in range(0, len(order), MOST_LANES):
             mine = order[start : start + MOST_LANES]
             sizes = np.array([lengths[i] for i in mine])
-            ids = np.zeros((sizes.max(initial=0), len(mine)), np.int64)
+            ids = np.zeros((sizes.max(initial=0), len(mine)), np.int32)
             coder = _Decoder([streams[i] for i in mine], ids, sizes)
             for t, n in enumerate(np.searchsorted(-sizes, -np.arange(len(ids)), "left")):
                 ids[t, :n] = coder.step(t, n)
             for lane, i in enumerate(mine):
-                out[i] = ids[: sizes[lane], lane].copy()
+                out[i] = ids[: sizes[lane], lane].astype(np.int64)
     return out
 
 

@@ -20,10 +20,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import new_path, parts_for
+from .common import new_path, parts_for, tidy
 from .token_coder import pack, unpack
 
-END_ID, SEGMENT_IDS, MAX_WORDS_KEPT = 2, 1 << 23, 300_000
+END_ID, SEGMENT_IDS, MAX_WORDS_KEPT = 2, 1 << 22, 300_000
 SEGMENT = "shard int, segment int, n_ids long, doc_ids binary, no_id binary, lengths binary, data binary"
 
 
@@ -89,7 +89,7 @@ def write(docs: DataFrame, tokenizer_path: str, path: str, end_id: int = END_ID)
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     rows = rows.repartitionByRange(parts_for(docs), "doc_id").sortWithinPartitions("doc_id")
-    rows.mapInArrow(encode, SEGMENT).write.parquet(path)
+    rows.mapInArrow(tidy(encode), SEGMENT).write.parquet(path)
 
 
 def read(spark: SparkSession, path: str) -> DataFrame:
@@ -105,7 +105,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(docs, mask=none), pa.array(ends - lengths), pa.array(lengths), pa.array(crc, pa.int64()), pa.array(np.full(len(docs), r["shard"], np.int32)), pa.array(np.full(len(docs), r["segment"], np.int32))], names=["doc_id", "at", "n_tokens", "ids_crc32", "shard", "segment"])
 
     files = spark.read.schema(SEGMENT).parquet(path)
-    found = files.mapInArrow(decode, "doc_id long, at long, n_tokens long, ids_crc32 long, shard int, segment int")
+    found = files.mapInArrow(tidy(decode), "doc_id long, at long, n_tokens long, ids_crc32 long, shard int, segment int")
     sizes = files.groupBy("shard", "segment").agg(F.sum("n_ids").alias("n"))
     shards = sizes.groupBy("shard").agg(F.sum("n").alias("n"))
     before = lambda w, c: F.coalesce(F.sum(c).over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
