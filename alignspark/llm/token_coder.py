@@ -283,9 +283,9 @@ class CorruptBlock(ValueError):
 def pack(ids: np.ndarray, block: int | None = None) -> bytes:
     """File bytes of a run of ids: a header, an entry for each block, the coded blocks.
 
-    Short runs are cut into shorter blocks (a 512th of the run, from 256 ids on), so that there are lanes to fill a step.
+    Short runs are cut into shorter blocks (a 128th of the run, from 512 ids on), so that there are lanes to fill a step.
     """
-    block = block or min(BLOCK, max(256, len(ids) // 512))
+    block = block or min(BLOCK, max(512, len(ids) // 128))
     if len(ids) and (int(ids.min()) < 0 or int(ids.max()) > MOST_ID):
         raise ValueError(f"ids must lie between 0 and {MOST_ID}")
     blocks = [ids[i : i + block] for i in range(0, len(ids), block)]
