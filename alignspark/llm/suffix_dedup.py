@@ -290,6 +290,33 @@ def maximal_repeats(common: list[int], before: list[int], doc: list[int], least:
             stack.append([here, start, low, code])
 
 
+def longest_with_earlier(repeats: list[tuple[int, int, int, int]], doc: np.ndarray) -> np.ndarray:
+    """For each suffix the length of the longest of the repeats that holds it and a suffix of a smaller document; 0 if none.
+
+    Repeats nest and come inner ones first. Each suffix is given to its innermost repeat, and each repeat a link to the
+    nearest one around it with a smaller least document: work stays in proportion even where a text repeats itself.
+    """
+    around, inner, open_ = [-1] * len(repeats), np.full(len(doc), -1), []
+    for k, (_, i, j, _) in enumerate(repeats):
+        kids = []
+        while open_ and open_[-1][0] >= i:
+            kids.append(open_.pop())
+        at = i
+        for start, end, kid in reversed(kids):
+            around[kid] = k
+            inner[at:start] = k
+            at = end + 1
+        inner[at : j + 1] = k
+        open_.append((i, j, k))
+    length, _, _, low = (np.array(x) for x in zip(*repeats, strict=True))
+    earlier = [-1] * len(repeats)
+    for k in range(len(repeats) - 1, -1, -1):
+        p = around[k]
+        earlier[k] = -1 if p < 0 else p if low[p] < low[k] else earlier[p]
+    pick = np.where(inner < 0, -1, np.where(low[inner] < doc, inner, np.array(earlier)[inner]))
+    return np.where(pick < 0, 0, length[pick])
+
+
 def _repeats(table: pa.Table, drawers: int, length: int, most: int = 1 << 19) -> pa.Table:
     """Spans to remove, from the texts of one bucket; keys are taken together up to `most` bytes at once."""
     parts = [unpack(x) for x in table.column("data").to_pylist()]
@@ -330,9 +357,11 @@ def _repeats_of(texts: list[np.ndarray], doc: np.ndarray, row: np.ndarray, place
         mine = order[a:b]
         d, one = doc[of[mine]], common[a:b].copy()
         one[0] = 0
-        for n, i, j, low in maximal_repeats(one.tolist(), left[mine].tolist(), d.tolist(), length):
-            late = mine[i : j + 1][d[i : j + 1] > low]
-            gone.append(np.stack([doc[of[late]], row[of[late]], place[of[late]] + at[late], np.full(len(late), n)], 1))
+        found = list(maximal_repeats(one.tolist(), left[mine].tolist(), d.tolist(), length))
+        if found:
+            n = longest_with_earlier(found, d)
+            late = np.flatnonzero(n)
+            gone.append(np.stack([doc[of[mine[late]]], row[of[mine[late]]], place[of[mine[late]]] + at[mine[late]], n[late]], 1))
     return np.concatenate(gone)
 
 
