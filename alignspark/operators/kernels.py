@@ -15,6 +15,8 @@ from ..functions.scoring import Scoring
 
 GAP = "_"
 LOW = -(1 << 40)
+#: Cells of a table up to which it is held whole; larger ones go through their rows in a band.
+CELLS = 4_000_000
 
 
 # ---- pairwise alignment ----------------------------------------------------
@@ -100,6 +102,19 @@ def path_counts(pairs: Sequence[tuple[str, str]], scoring: Scoring, tie: str = "
     more; cells reached from the left take theirs from the nearest cell to the left that isn't.
     """
     out = np.zeros((len(pairs), 3), np.int64)
+    small = [k for k, (a, b) in enumerate(pairs) if len(a) * len(b) <= CELLS]
+    if len(small) < len(pairs):
+        for k in sorted(set(range(len(pairs))) - set(small)):
+            a, b = pairs[k]
+            symbols, (x, y) = coded([a, b])
+            t = scoring.table(symbols)
+            rows = t[:, y]
+            moves = np.frombuffer(moves_in_band(lambda i, j0, j1: rows[x[i], j0:j1], len(x), len(y), scoring.gap, t.max(), tie, t.dtype.kind == "i").encode(), np.uint8)
+            d = moves == ord("d")
+            same = int((x[np.cumsum(moves != ord("l"))[d] - 1] == y[np.cumsum(moves != ord("u"))[d] - 1]).sum())
+            out[k] = same, int(d.sum()) - same, len(moves) - int(d.sum())
+        out[small] = path_counts([pairs[k] for k in small], scoring, tie, most_cells)
+        return out
     for mine, la, lb, first, second, t in _like(pairs, scoring, most_cells):
         n, width, g = len(mine), second.shape[1] + 1, scoring.gap
         steps = np.arange(width) * np.asarray(g, t.dtype)
@@ -180,6 +195,63 @@ def moves_in_linear_memory(sub_rows, n: int, m: int, gap: float) -> str:
     return solve(0, n, 0, m)
 
 
+def moves_in_band(sub_row, n: int, m: int, gap: float, best: float, tie: str = "dul", whole: bool = True, start: int = 64) -> str:
+    """Moves of the path that traceback() takes, without the whole table; sub_row(i, j0, j1) gives part of a substitution row.
+
+    best: no substitution is above it. The band of diagonals doubles until no path that leaves it can be as good as the
+    best one inside, so that all optimal paths lie inside and ties go as in the whole table. Every so many rows one is
+    kept, and the moves of the rows between two kept ones are taken anew from the end.
+    """
+    kind = np.int64 if whole and float(gap).is_integer() else float
+    near = (lambda x, y: x == y) if kind is np.int64 else (lambda x, y: np.abs(x - y) < 1e-9)
+    band = start if gap < best / 2 else n + m
+    while True:
+        lo, hi = max(min(0, m - n) - band, -n), min(max(0, m - n) + band, m)
+        width = hi - lo + 1
+        steps, place = np.arange(width) * np.asarray(gap, kind), np.arange(width)
+
+        def after(prev: np.ndarray, i: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            """(row i, its cells if reached by d, by u); place k of a row is column i + lo + k."""
+            at = i + lo
+            k0, k1 = max(0, -at), min(width, m - at + 1)
+            d, u = np.full(width, LOW, kind), np.full(width, LOW, kind)
+            a = max(k0, 1 - at)
+            d[a:k1] = prev[a:k1] + sub_row(i - 1, at + a - 1, at + k1 - 1)
+            up = min(k1, width - 1)
+            u[k0:up] = prev[k0 + 1 : up + 1] + gap
+            row = np.full(width, LOW, kind)
+            row[k0:k1] = np.maximum.accumulate(np.maximum(d[k0:k1], u[k0:k1]) - steps[k0:k1]) + steps[k0:k1]
+            return row, d, u
+
+        row = np.where((place + lo >= 0) & (place + lo <= m), (place + lo) * np.asarray(gap, kind), LOW)
+        each = int((8 * n) ** 0.5) + 1
+        kept = [row]
+        for i in range(1, n + 1):
+            row = after(row, i)[0]
+            if i % each == 0:
+                kept.append(row)
+        gaps = abs(n - m) + 2 * (band + 1)
+        if lo == -n and hi == m or row[m - n - lo] > best * max(n + m - gaps, 0) / 2 + gap * gaps + 1e-6:
+            break
+        band *= 2
+    i, j, moves = n, m, []
+    while i:
+        base = (i - 1) // each * each
+        row, rows = kept[base // each], np.full((i - base, width), 3, np.int8)
+        for r in range(base + 1, i + 1):
+            row, d, u = after(row, r)
+            left = np.zeros(width, bool)
+            left[1:] = near(row[:-1] + gap, row[1:])
+            open_ = {"d": near(d, row), "u": near(u, row), "l": left}
+            for k, move in reversed(list(enumerate(tie))):
+                rows[r - base - 1][open_[move]] = k
+        while i > base:
+            move = tie[rows[i - base - 1, j - i - lo]]
+            moves.append(move)
+            i, j = i - (move != "l"), j - (move != "u")
+    return "".join(reversed(moves + ["l"] * j))
+
+
 def align_moves(a: Sequence[str], b: Sequence[str], scoring: Scoring, tie: str = "dul", limit: int = 4_000_000) -> tuple[str, float]:
     """(moves, score); above `limit` cells memory stays linear, and ties may go another way than `tie`."""
     symbols, (x, y) = coded([a, b])
@@ -710,13 +782,21 @@ def merge_columns(a: np.ndarray, b: np.ndarray, symbols: list[str], o: Options,
         t[g, :] = t[:, g] = o.scoring.mismatch
         t[g, g] = o.scoring.match
     if o.mode == "expected":
-        sub = (a / max(na, 1)) @ t.astype(float) @ (b / max(nb, 1)).T
+        left, right = (a / max(na, 1)) @ t.astype(float), (b / max(nb, 1)).T
+        of = lambda i, j0, j1: left[i] @ right[:, j0:j1]
+        sub = left @ right if len(a) * len(b) <= CELLS else None
     else:
         right = consensus(b, symbols, o.tie, o.seed, family, 2 * node + 1, None, o.gap_policy) if len(b) else np.zeros(0, int)
         left = consensus(a, symbols, o.tie, o.seed, family, 2 * node, right, o.gap_policy) if len(a) else np.zeros(0, int)
         right = consensus(b, symbols, o.tie, o.seed, family, 2 * node + 1, left, o.gap_policy) if len(b) else right
-        sub = t[left[:, None], right[None, :]] if len(a) and len(b) else np.zeros((len(a), len(b)), t.dtype)
-    moves = np.frombuffer(traceback(table(sub, o.scoring.gap), sub, o.scoring.gap, o.traceback).encode(), np.uint8)
+        rows = t[:, right]
+        of = lambda i, j0, j1: rows[left[i], j0:j1]
+        sub = None if len(a) * len(b) > CELLS else t[left[:, None], right[None, :]] if len(a) and len(b) else np.zeros((len(a), len(b)), t.dtype)
+    if sub is None:
+        path = moves_in_band(of, len(a), len(b), o.scoring.gap, t.max(), o.traceback, o.mode != "expected" and t.dtype.kind == "i")
+    else:
+        path = traceback(table(sub, o.scoring.gap), sub, o.scoring.gap, o.traceback)
+    moves = np.frombuffer(path.encode(), np.uint8)
     at_a, at_b = np.flatnonzero(moves != ord("l")), np.flatnonzero(moves != ord("u"))
     counts = np.zeros((len(moves), len(symbols)), np.int64)
     counts[at_a] += a

@@ -66,8 +66,8 @@ def segments(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """T5's raw form: folded letters of a document's first 1,500 characters, all in one family; near_copies() splits it."""
-    df = table(spark, sf_dir, "documents").select(F.lit("documents").alias("family"), F.col("doc_id").alias("seq_id"), fold_letters(F.substring("text", 1, 1500)).alias("seq"))
+    """T5's raw form: folded letters of a document, all in one family; near_copies() splits it."""
+    df = table(spark, sf_dir, "documents").select(F.lit("documents").alias("family"), F.col("doc_id").alias("seq_id"), fold_letters(F.col("text")).alias("seq"))
     return df.withColumn("len", F.length("seq"))
 
 

@@ -108,3 +108,15 @@ def test_entry(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_documents_are_folded_whole(spark, tmp_path):
+    from alignspark import workloads
+
+    text = " ".join(f"word{'abcdefghij'[i % 10]}{'klmnopqrst'[i // 10 % 10]} x{'uvwxyzabcd'[i // 100]}" for i in range(400))
+    texts = [text, text[:-9] + "qqq rr ee", text]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["seq_id"]: r["len"] for r in catalog.QUERIES["seq_documents_folded"](spark, str(tmp_path)).collect()}
+    assert got == {i: sum(c.isalpha() for c in t) for i, t in enumerate(texts)} and min(got.values()) > 1500
+    rows = progressive.compare(workloads.near_copy_sequences(spark, str(tmp_path)), seeds=(0,)).collect()
+    assert len(rows) == 3 and all(r["cost"] > 0 and r["width"] > 1500 for r in rows)

@@ -219,3 +219,30 @@ def test_distances():
         K.distance("A", "A", "unknown", E)
     d = K.distance_matrix(PRINTED, "score_gap", E)
     assert d[2, 4] == 0 and np.allclose(d, d.T)
+
+
+@pytest.mark.parametrize("scoring", [E, W, U, Scoring(match=1.5, mismatch=-0.25, gap=-0.75)])
+def test_band_takes_the_path_of_the_whole_table(scoring):
+    rnd = random.Random(11)
+    for tie in ("dul", "lud", "udl"):
+        for a, b in [*zip(words(rnd, 12, 60), words(rnd, 12, 60)), *((w, "".join(c for c in w if rnd.random() > 0.05)) for w in words(rnd, 12, 200)), ("ACGT" * 50, "A"), ("A", "ACGT" * 50)]:
+            sub = K.substitution(a, b, scoring)
+            if not sub.size:
+                continue
+            want = K.traceback(K.table(sub, scoring.gap), sub, scoring.gap, tie)
+            for start in (1, 8):
+                assert K.moves_in_band(lambda i, j0, j1: sub[i, j0:j1], len(a), len(b), scoring.gap, sub.max(), tie, sub.dtype.kind == "i", start) == want
+
+
+def test_long_families_align_as_short_ones(monkeypatch):
+    rnd = random.Random(12)
+    root = "".join(rnd.choice("ACGT") for _ in range(150))
+    seqs = ["".join(c for c in root if rnd.random() > 0.06) for _ in range(4)]
+    for mode in ("consensus", "expected"):
+        o = K.Options(mode=mode)
+        d = K.distance_matrix(seqs, "mismatch_gap", E)
+        want = K.progressive(seqs, K.neighbor_joining(d), o)
+        with monkeypatch.context() as m:
+            m.setattr(K, "CELLS", 100)
+            assert (K.distance_matrix(seqs, "mismatch_gap", E) == d).all()
+            assert K.progressive(seqs, K.neighbor_joining(d), o) == want
