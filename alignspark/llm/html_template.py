@@ -9,7 +9,8 @@ notices, adverts, forms and comments are not main text; of the rest the article
 found once a page that keeps most of the text which stands outside links. Pages of a host without a valid class fall
 back on the class found over all hosts, then on their own elements.
 
-Edge cases: null and empty html give an empty text; unclosed tags, comments and scripts end where the page ends; a null
+Edge cases: null and empty html give an empty text; unclosed tags, comments and scripts end where the page ends;
+self-closed or unclosed svg, button, select, iframe, noscript and template end at their tag; a null
 url counts as a host of its own; repeated rows are pages of their own; pages are read whole; an empty table gives an
 empty result; extra columns are ignored.
 """
@@ -29,7 +30,7 @@ from .common import cut, tidy
 from .url_filter import split_url
 
 TOKEN = re.compile(
-    r"""<!--.*?(?:-->|\Z)|<(script|style|noscript|template|textarea|svg|iframe|select|button)\b(?:.*?</\1\s*>|.*\Z)|<[a-zA-Z/!?](?>(?:[^>"']|"[^"]*"|'[^']*')*)>|<[a-zA-Z/!?][^>]*>|[^<]+|<""",
+    r"""<!--.*?(?:-->|\Z)|<(script|style|textarea)\b(?:.*?</\1\s*>|.*\Z)|<(noscript|template|svg|iframe|select|button)\b(?>(?:[^>"']|"[^"]*"|'[^']*')*)(?<!/)>(?:(?!<\2\b).)*?</\2\s*>|<[a-zA-Z/!?](?>(?:[^>"']|"[^"]*"|'[^']*')*)>|<[a-zA-Z/!?][^>]*>|[^<]+|<""",
     re.S | re.I,
 )
 NAME = re.compile(r"</?\s*([a-zA-Z][a-zA-Z0-9:-]*)")
@@ -38,22 +39,25 @@ ATTRIBUTE = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\
 BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead title tr ul".split())
 ALONE = frozenset("hr".split())
 CLOSED_BY_ITSELF = frozenset("p li dt dd td th tr option".split())
-#: Elements and parts of class, id and role names that mark what isn't main text.
+#: Elements and whole class, id and role names that mark what isn't main text.
 BESIDES = frozenset("nav menu aside footer form head title dialog dir fieldset".split())
 MARKS = frozenset("ad ads advert advertisement adverts banner breadcrumb breadcrumbs comment comments cookie cookies consent footer form header menu modal nav navbar navigation newsletter notice notices pager pagination popup promo promoted related replies search share sharing sidebar social sponsor sponsored subscribe toolbar widget".split())
 MAIN = frozenset("article main".split())
+#: Elements that no name marks.
+UNMARKED = MAIN | {"html", "body"}
 LEAST_SHARE, KEEPS = 0.5, 0.8
 
 
 def _marks(tag: str) -> set[str]:
-    names = " ".join("".join(x) for x in ATTRIBUTE.findall(tag)).lower()
-    return set(re.split(r"[^a-z]+", names)) & MARKS
+    names = " ".join("".join(x) for x in ATTRIBUTE.findall(tag)).lower().rstrip("/")
+    return set(names.split()) & MARKS
 
 
-def read_page(page: str | None) -> Iterator[tuple[tuple[str, ...], bool, bool, str]]:
+def read_page(page: str | None, spare: tuple[str, ...] | None = ()) -> Iterator[tuple[tuple[str, ...], bool, bool, str]]:
     """(path of open block elements, beside the main text?, inside a link?, text) for each text; text "" for an element's start.
 
-    Elements of the path carry their names' marks, so that a div of adverts is another token than a plain div.
+    Elements of the path carry their names' marks, so that a div of adverts is another token than a plain div. Names
+    never put article, main, body or an element of the path spare beside the main text; None spares all.
     """
     path: list[tuple[str, bool]] = []
     besides = links = 0
@@ -62,7 +66,7 @@ def read_page(page: str | None) -> Iterator[tuple[tuple[str, ...], bool, bool, s
         if token[0] != "<" or len(token) == 1:
             yield tuple(x for x, _ in path), besides > 0, links > 0, entities.unescape(token)
             continue
-        if m[1] or token[1] in "!?":
+        if m[1] or m[2] or token[1] in "!?":
             continue
         name = NAME.match(token)
         tag = name[1].lower() if name else ""
@@ -81,11 +85,13 @@ def read_page(page: str | None) -> Iterator[tuple[tuple[str, ...], bool, bool, s
             continue
         if path and path[-1][0].split(".")[0] == "p" or path and path[-1][0].split(".")[0] == tag and tag in CLOSED_BY_ITSELF:
             besides -= path.pop()[1]
-        marks = _marks(token) if "=" in token else set()
+        marks = _marks(token) if "=" in token and tag not in UNMARKED else set()
         inside = any(x.split(".")[0] in MAIN for x, _ in path)
-        beside = tag in BESIDES or bool(marks) or tag == "header" and not inside
+        named = ".".join([tag, *sorted(marks)])
+        spared = not marks or spare is None or len(path) < len(spare) and (*(x for x, _ in path), named) == spare[: len(path) + 1]
+        beside = tag in BESIDES or not spared or tag == "header" and not inside
         if tag not in ALONE and not token.endswith("/>"):
-            path.append((".".join([tag, *sorted(marks)]), beside))
+            path.append((named, beside))
             besides += beside
         links = 0
         yield tuple(x for x, _ in path), besides > 0, False, ""
@@ -165,11 +171,22 @@ def templates(tokens: DataFrame, most_tokens: int = 2000) -> DataFrame:
 
 
 def main_text(page: str | None, article: str | None) -> str:
-    """Text of the article's blocks, one a line."""
-    found = list(read_page(page))
+    """Text of the article's blocks, one a line; names that would hide the article or the whole page mark nothing."""
+    goal = tuple(article.split("/")) if article else ()
+    found = list(read_page(page, goal))
+    own = sorted({p[: i + 1] for p, _, _, text in found if text and not text.isspace() for i, x in enumerate(p) if x.split(".")[0] in MAIN}, key=len)
+    blocks = _blocks(found, goal)
+    if own and not any(p[: len(g)] == g and not beside for p, beside, _, text in found if text and not text.isspace() for g in own):
+        # one article that is all hidden, and longer than what is seen, is the page's; several are comments and the like
+        once = [g for g in own if tokens_of(page)[0][g] == 1]
+        hidden = _blocks(list(read_page(page, once[0])), once[0]) if once else []
+        blocks = max(blocks, hidden, key=lambda x: sum(map(len, x)))
+    return "\n".join(blocks or _blocks(list(read_page(page, None)), goal))
+
+
+def _blocks(found: list, goal: tuple[str, ...]) -> list[str]:
     paths = {p for p, _, _, text in found if text}
-    goal = tuple(article.split("/")) if article else None
-    if goal is None or not any(p[: len(goal)] == goal for p in paths):
+    if not goal or not any(p[: len(goal)] == goal for p in paths):
         own = sorted({p[: i + 1] for p in paths for i, x in enumerate(p) if x.split(".")[0] in MAIN}, key=len)
         goal = own[0] if own else next(((x,) for x in ("html", "body") if any(p[:1] == (x,) for p in paths)), ())
         if goal == ("html",) and any(p[:2] == ("html", "body") for p in paths):
@@ -182,7 +199,7 @@ def main_text(page: str | None, article: str | None) -> str:
             now = []
         elif not beside and path[: len(goal)] == goal:
             now.append(text)
-    return "\n".join(blocks)
+    return blocks
 
 
 def extract(pages: DataFrame) -> DataFrame:

@@ -210,6 +210,30 @@ def test_main_text():
     assert html_template.main_text("<" * 50 + "a", None) == "<" * 50 + "a"
 
 
+@pytest.mark.parametrize(
+    "page",
+    [
+        "<body class='no-sidebar'><article><p>a</p><p>b</p></article></body>",
+        "<body class=sidebar><article class='post share-enabled'><p>a</p><p>b</p></article></body>",
+        "<body><article class='post share'><p>a</p><div class=ad>no</div><p>b</p></article></body>",
+        "<body><div class='ad-free'><article><p>a</p><p>b</p></article></div></body>",
+        "<body><p>x</p><div class=widget><article><p>a</p><div class=ad>no</div><p>b</p></article></div></body>",
+        "<body><div class=widget><p>a</p><p>b</p></div></body>",
+        "<article><p>a<svg viewBox='0 0 1 1'/></p><p>b</p><svg><text>no</text></svg></article>",
+        "<article><p>a</p><button>x<select><iframe src=y><p>b</p></article>",
+        "<article><p>a</p><button><p>b</p><button>no</button></article>",
+    ],
+)
+def test_names_and_open_elements_drop_no_article(page):
+    for article in (None, "html/body", "body"):
+        assert html_template.main_text(page, article).replace("x", "").split() == ["a", "b"]
+
+
+def test_comments_in_articles_stay_beside():
+    page = "<html><body><div><p>text</p></div><div class=comments><article>first comment</article><article>second</article></div></body></html>"
+    assert html_template.main_text(page, "html/body") == "text"
+
+
 def test_bloom_has_no_false_negatives():
     words = np.zeros((4, 8), np.uint64)
     bloom = BlockedBloom(words)
