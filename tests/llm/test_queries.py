@@ -162,6 +162,20 @@ def test_pages(spark, sf):
     assert got == [(1, ""), (2, ""), (3, "a" * 400 + "\nb"), (4, "z" * 300 + "\nb"), (4, "z" * 300 + "\nb"), (5, "just text")]
 
 
+def test_text_of_all_pages_is_template(spark):
+    shapes = {
+        "a": "<html><body><div>Home | About | Legal</div><div>{0}</div></body></html>",
+        "b": "<html><body><p>Home | About</p><div><p>{0}</p><p>same</p></div><p>Legal</p></body></html>",
+        "c": "<html><body><article><h2>Column</h2><div><p>{0}</p></div><div>Tell a friend</div></article></body></html>",
+    }
+    words = ["red fox", "blue hare", "old owl", "wet newt"]
+    rows = [(10 * i + k, f"x://{h}/{k}", page.format(w)) for i, (h, page) in enumerate(shapes.items()) for k, w in enumerate(words)]
+    rows += [(90 + k, "x://copies/1", "<html><body><div>menu</div><div>one text</div></body></html>") for k in range(4)]
+    got = {r["page_id"]: r["text"] for r in html_template.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    want = {10 * i + k: text.format(w) for i, text in enumerate(("{0}", "{0}\nsame", "Column\n{0}")) for k, w in enumerate(words)}
+    assert got == want | {90 + k: "menu\none text" for k in range(4)}
+
+
 def test_quality(spark):
     sf = "/root/testdata/sf0.01"
     truth = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
