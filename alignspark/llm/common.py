@@ -11,7 +11,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: Words of the contracts: runs of anything but space, tab, \n, \v, \f and \r.
@@ -106,3 +106,26 @@ def mix64(x: np.ndarray) -> np.ndarray:
     x *= np.uint64(0x94D049BB133111EB)
     x ^= x >> np.uint64(31)
     return x
+
+
+def keep_one(docs: DataFrame, families) -> DataFrame:
+    """docs with one row of each family: the least doc_id (null last), then the least hash of doc_id and text; of rows
+    equal in both, the least hash of the whole row.
+
+    families(nodes) gives doc_id, family of nodes (doc_id, text), whose doc_id is a hash of a row's doc_id and text.
+    """
+    node = F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)), F.col("text").isNull(), F.coalesce(F.col("text").cast("string"), F.lit("")))
+    marked = docs.withColumn("__node", node)
+    counted = cut(marked.groupBy("__node").agg(F.min(F.col("doc_id").cast("long")).alias("id"), F.count("*").alias("n")), "nodes")
+    of = families(marked.select(F.col("__node").alias("doc_id"), "text")).select(F.col("doc_id").alias("__node"), "family").distinct()
+    of = cut(of.join(counted, "__node"), "families")
+    first = of.groupBy("family").agg(F.min(F.struct(F.col("id").isNull(), "id", "__node"))["__node"].alias("first"))
+    ranked = of.join(first, "family")
+    many = cut(ranked.where("__node = first AND n > 1").select("__node"), "many")
+    gone = cut(ranked.where("__node <> first").select("__node").unionByName(many), "gone")
+    kept = marked.join(gone, "__node", "left_anti")
+    if many.limit(1).count():
+        place = F.row_number().over(Window.partitionBy("__node").orderBy("__row"))
+        equal = marked.join(many, "__node", "left_semi").withColumn("__row", F.xxhash64(*docs.columns)).withColumn("__place", place).where("__place = 1")
+        kept = kept.select(*docs.columns).unionByName(equal.select(*docs.columns))
+    return kept.select(*docs.columns)

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, UPPER, cut, tidy
+from .common import LOWER, UPPER, cut, keep_one, tidy
 
 SHINGLE, SEED, DISTANCE = 3, 42, 2
 #: The ring: (lowest bit, bits) of its segments; the first half of a segment is its lower bits.
@@ -205,6 +205,5 @@ def components(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED) -> Dat
 
 
 def keep_first(docs: DataFrame, **kw) -> DataFrame:
-    """docs without the rows whose document is not the first of its component; rows with one doc_id are one document."""
-    gone = components(docs.select("doc_id", "text"), **kw).where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(cut(gone, "gone"), F.col("doc_id") == F.col("__gone"), "left_anti")
+    """docs with one row of each component, as keep_one() chooses it."""
+    return keep_one(docs, lambda nodes: components(nodes, **kw).select("doc_id", F.col("component_id").alias("family")))

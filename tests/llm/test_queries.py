@@ -130,6 +130,13 @@ def test_simhash(spark, sf):
     assert len(labels) == 33 and len({r["label"] for r in labels}) == 1
 
 
+def test_one_row_of_each_component_stays(spark):
+    a, b = "alpha beta gamma delta", "one two three four five six"
+    rows = [(3, a, "x"), (5, a, "x"), (5, b, "x"), (9, b, "x"), (7, "solo text here", "x"), (7, "solo text here", "y"), (None, "no id at all", "x"), (None, "no id at all", "x")]
+    kept = simhash.keep_first(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    assert Counter((r["doc_id"], r["text"]) for r in kept) == Counter([(3, a), (5, b), (7, "solo text here"), (None, "no id at all")])
+
+
 def test_urls(spark):
     rows = [(1, None), (2, "no scheme"), (3, "HTTP://A.Example.COM/en/71?x"), (4, "x://adult-x.example.org"), (5, "x://b.net/de/"), (6, "://"), (6, "://"), (7, "a://b://c#d"), (8, "x://h.example.net/de/8\ny")]
     pages = spark.createDataFrame([(*r, "<p>", 1) for r in rows], "page_id long, url string, html string, hit int")
