@@ -137,6 +137,32 @@ def test_one_row_of_each_component_stays(spark):
     assert Counter((r["doc_id"], r["text"]) for r in kept) == Counter([(3, a), (5, b), (7, "solo text here"), (None, "no id at all")])
 
 
+def test_pipeline_drops_near_copies(spark):
+    import random
+
+    import corpus_pipeline
+    from alignspark.llm import near_copies
+
+    rnd = random.Random(4)
+    texts = [[f"w{rnd.randrange(5000)}" for _ in range(100)] for _ in range(8)]
+    rows = [(10 * k, " ".join(t)) for k, t in enumerate(texts)]
+    rows += [(10 * k + 1, " ".join([*t[:50], "changed", *t[51:]])) for k, t in enumerate(texts)]
+    rows += [(200, None), (201, ""), (202, " \n")]
+    kept = corpus_pipeline.near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
+    assert sorted(r["doc_id"] for r in kept) == [*range(0, 80, 10), 200]
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").where("length(text) < 600")
+    sets = {r["doc_id"]: set(near_copies.shingles(r["text"]).tolist()) for r in docs.collect()}
+    family = {d: d for d in sets}
+    for _ in sets:
+        for a in sets:
+            for b in sets:
+                if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) - 1e-9:
+                    family[a] = family[b] = min(family[a], family[b])
+        if all(family[family[a]] == family[a] for a in sets):
+            break
+    assert {(r["doc_id"], r["family"]) for r in near_copies.families(docs).collect()} == set(family.items())
+
+
 def test_urls(spark):
     rows = [(1, None), (2, "no scheme"), (3, "HTTP://A.Example.COM/en/71?x"), (4, "x://adult-x.example.org"), (5, "x://b.net/de/"), (6, "://"), (6, "://"), (7, "a://b://c#d"), (8, "x://h.example.net/de/8\ny")]
     pages = spark.createDataFrame([(*r, "<p>", 1) for r in rows], "page_id long, url string, html string, hit int")
