@@ -48,7 +48,7 @@ def plan(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = S
 
     importance: a column of positive numbers by which inclusion odds differ within a source; equal if None.
     The documents of a source are never sorted together: words are summed by bins of the rank, and only the bin in
-    which the target falls is put in order.
+    which the target falls is put in order; no bin is where whole copies fill the target.
     """
     weight = F.lit(1.0) if importance is None else F.greatest(F.coalesce(F.col(importance).cast("double"), F.lit(1.0)), F.lit(1e-9))
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
@@ -63,14 +63,14 @@ def plan(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = S
     ranked = ranked.withColumn("rank", u / (1 - u) / (p / (1 - p))).withColumn("bin", F.least(F.floor(F.col("rank") / (1 + F.col("rank")) * bins), F.lit(bins - 1)).cast("long"))
     by_bin = ranked.groupBy("source", "bin").agg(F.sum("size").alias("words"), F.first("rest").alias("rest"))
     upto = Window.partitionBy("source").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
-    edge = by_bin.withColumn("upto", F.sum("words").over(upto)).where(F.col("upto") >= F.col("rest"))
+    edge = by_bin.withColumn("upto", F.sum("words").over(upto)).where((F.col("rest") > 0) & (F.col("upto") >= F.col("rest")))
     edge = edge.groupBy("source").agg(F.min_by(F.struct(F.col("bin").alias("edge"), (F.col("upto") - F.col("words")).alias("got")), "bin").alias("x"))
     edge = edge.select(F.col("source").alias("of"), "x.edge", "x.got")
     ranked = ranked.join(edge, F.col("source").eqNullSafe(F.col("of")), "left").drop("of")
     inner = Window.partitionBy("source").orderBy("rank", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
     on_edge = F.coalesce(F.col("bin") == F.col("edge"), F.lit(False))
     cols = ["doc_id", "source", "size", "source_size", "target", "whole"]
-    sure = ranked.where(~on_edge).select(*cols, F.coalesce(F.col("bin") < F.col("edge"), F.col("rest") > 0).cast("long").alias("more"))
+    sure = ranked.where(~on_edge).select(*cols, F.coalesce(F.col("bin") < F.col("edge"), (F.col("rest") > 0) | (F.col("source_size") == 0)).cast("long").alias("more"))
     near = ranked.where(on_edge).withColumn("upto", F.col("got") + F.sum("size").over(inner))
     near = near.select(*cols, (F.col("upto") - F.col("size") / 2 <= F.col("rest")).cast("long").alias("more"))
     return sure.unionByName(near).withColumn("copies", F.col("whole") + F.col("more")).select(*cols[:-1], "copies", (F.col("copies") * F.col("size")).alias("taken"))

@@ -238,6 +238,13 @@ def test_mixing(spark, sf):
     assert unequal.count() == docs.count()
 
 
+def test_capped_source_is_not_ranked(spark):
+    rows = [(k, "" if k else "three words here", "a") for k in range(40)] + [(100 + k, "word " * 50, "b") for k in range(4)] + [(200, "", "c")]
+    got = mixing.plan(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    assert {(r["target"], r["copies"]) for r in got if r["source"] == "a"} == {(6.0, 2)}
+    assert [r["copies"] for r in got if r["source"] == "c"] == [1]
+
+
 def test_pipeline(spark, sf):
     import corpus_pipeline
 
