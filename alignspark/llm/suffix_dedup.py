@@ -4,26 +4,36 @@ A document loses every byte that a string of LENGTH bytes covers which also star
 
 1. Each document is cut into runs: consecutive places at which the least hash of the K-byte strings inside the
    LENGTH-byte string that starts there is the same. That least hash is the run's key; equal strings have equal keys, so
-   only runs of one key can share a string. About one run starts in every 16 bytes. Runs are packed into buckets by key.
-2. Runs with equal text (64-bit hash, under an equal key) need no comparison: all but those of the least document go.
-   This is done first where the runs are found, so a key sends one document's run from each stretch of input at most,
-   however frequent it is; then once more by bucket.
-3. Of a key that still has runs of different text from different documents, the texts are fetched. Over the texts of a
-   bucket an enhanced suffix array is built; a stack scan of its common-prefix intervals gives each maximal repeat
-   (LENGTH or longer, with different bytes before its occurrences) with all its occurrences at once, and those in
-   documents after its first go.
+   only runs of one key can share a string. About one run starts in every 16 bytes.
+2. The texts of the runs whose key several documents have go through the tree: an enhanced suffix array over the places
+   that can start a maximal repeat, and a stack scan of its common-prefix intervals, which gives each maximal repeat
+   (LENGTH or longer, with different bytes before its occurrences) with all its occurrences at once. Those in documents
+   after its first go. Runs of equal text enter once for their first and once for their second document; what the tree
+   says of the second holds for all later ones.
+3. The tree is asked twice. First in each stretch of input (GATHER bytes), whose runs then go on only if some place of
+   them is still without an earlier copy; so a key sends about one document's runs from each stretch, however frequent it
+   is. Then by key over all stretches: first the keys that more than one document has are found, then the texts of
+   these are fetched, one for each different text, and put through the tree.
 4. Each document's spans are merged and its other bytes hashed.
 
+What goes from task to task is packed: one row for each stretch and bucket of keys, and for each bucket and drawer of
+documents, that have something to say to each other. Buckets and drawers come from the input's bytes, not from the
+session's partitions, and rows never outnumber the runs in them. A key so frequent that its runs with different
+surroundings would fill one task (HOT_DOCS or more of about SAMPLE documents taken by hash of doc_id) is dealt further:
+places of it that are left after step 2 travel one by one under the hash of their own LENGTH bytes. Which keys those are
+decides on the spread alone, never on the result.
+
 Edge cases: a null text is empty; texts shorter than LENGTH lose nothing; a null doc_id is in no order, so that row
 neither loses bytes nor costs others any; rows with one doc_id don't cost each other anything, each is cut for
-itself; texts of any length are cut whole; an empty table gives an empty result; extra columns are ignored.
+itself; texts of any length are cut whole; an empty table gives an empty result; extra columns are ignored, whatever
+their names.
 """
 
 from __future__ import annotations
 
 import hashlib
 import struct
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,15 +41,21 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, mix64, parts_for, tidy
+from .common import cut, mix64, tidy
 
 LENGTH, K = 50, 20
-#: Bytes hashed at once, and bytes whose runs are gathered before they are sent.
-STEP, GATHER = 1 << 20, 12 << 20
+#: Bytes hashed at once, bytes whose runs are gathered before they are sent, bytes of text that go through one tree.
+STEP, GATHER, TREE = 1 << 20, 12 << 20, 1 << 21
+#: Bytes of input for each bucket of keys and each drawer of documents.
+BUCKET, DRAWER = 4 << 20, 16 << 20
+#: Documents looked at for frequent keys, and how many of them make a key frequent.
+SAMPLE, HOT_DOCS = 4000, 16
+#: Suffixes up to this many bytes are sorted as strings, longer ones by doubling.
+WIDE = 256
 BASE = 0x9E3779B97F4A7C15 | 1
 _BYTE = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(BASE))
 PACKED = "at int, kind byte, data binary"
-RUNS, GONE, ASKED = 0, 1, 2
+RUNS, GONE, ASKED, MEMBERS = 0, 1, 2, 3
 
 
 _ENTRY = struct.Struct("<cBQ")  # kind and bytes of an array's items, number of items
@@ -70,9 +86,9 @@ def _unpack_rows(data: bytes) -> list[np.ndarray]:
     return [np.cumsum(doc), *more]
 
 
-def _rolled(x: np.ndarray, base: int) -> np.ndarray:
-    """Hash of the K bytes that start at each place."""
-    parts, step, h, at, out = K, 1, x, 0, None
+def _rolled(x: np.ndarray, base: int, width: int = K) -> np.ndarray:
+    """Hash of the `width` bytes that start at each place."""
+    parts, step, h, at, out = width, 1, x, 0, None
     while parts:
         if parts & 1:
             here = h[at:] if out is None else h[at : at + len(out)]
@@ -125,13 +141,29 @@ def runs_of(texts: list[bytes], length: int = LENGTH) -> tuple[np.ndarray, ...]:
     return of, first - starts[of], last - first + 1, h[first], whole
 
 
-def _first_only(key: np.ndarray, whole: np.ndarray, doc: np.ndarray, row: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(order by key, hash, document; whether each run so ordered is in the least document that has it)."""
+def _shared(key: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """The runs whose key more than one document has."""
+    if not len(key):
+        return np.zeros(0, np.int64)
+    order = np.argsort(key, kind="stable")
+    new = _news(key[order])
+    starts, d = np.flatnonzero(new), doc[order]
+    return order[(np.maximum.reduceat(d, starts) > np.minimum.reduceat(d, starts))[np.cumsum(new) - 1]]
+
+
+def _news(*sorted_columns: np.ndarray) -> np.ndarray:
+    """Where a value comes that differs from the one before it."""
+    new = np.ones(len(sorted_columns[0]), bool)
+    new[1:] = np.logical_or.reduce([c[1:] != c[:-1] for c in sorted_columns])
+    return new
+
+
+def _classes(key: np.ndarray, whole: np.ndarray, doc: np.ndarray, row: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order by key and text, number of each run's text, whether another document had it before), all in that order."""
     order = np.lexsort((place, row, doc, whole, key))
-    k, w, d = key[order], whole[order], doc[order]
-    new = np.ones(len(order), bool)
-    new[1:] = (k[1:] != k[:-1]) | (w[1:] != w[:-1])
-    return order, d == d[np.flatnonzero(new)][np.cumsum(new) - 1] if len(order) else new
+    new = _news(key[order], whole[order])
+    of, d = np.cumsum(new) - 1, doc[order]
+    return order, of, d > d[np.flatnonzero(new)][of]
 
 
 def _by(number: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
@@ -154,33 +186,100 @@ def _gone(doc: np.ndarray, row: np.ndarray, place: np.ndarray, size: np.ndarray,
         yield d, _pack_rows(doc[at], row[at], place[at].astype(np.uint32), size[at].astype(np.uint32))
 
 
-def _find_runs(batches: Iterator[pa.RecordBatch], buckets: int, drawers: int, length: int) -> Iterator[pa.RecordBatch]:
-    held: list[tuple[np.ndarray, ...]] = []
-    gathered, texts, docs, rows, size = 0, [], [], [], 0
-
-    def cut_texts() -> None:
-        nonlocal texts, docs, rows, size
-        of, place, n, key, whole = runs_of(texts, length)
-        held.append((np.array(docs, np.int64)[of], np.array(rows, np.int64)[of], place, n, key, whole))
-        texts, docs, rows, size = [], [], [], 0
-
-    def send() -> Iterator[pa.RecordBatch]:
-        nonlocal held, gathered
-        doc, row, place, n, key, whole = (np.concatenate(x) for x in zip(*held, strict=True))
-        held, gathered = [], 0
-        order, first = _first_only(key, whole, doc, row, place)
-        rest = order[~first]
-        for _, data in [(0, _pack_rows(doc[rest], row[rest], place[rest].astype(np.uint32), n[rest].astype(np.uint32) + np.uint32(length - 1)))] if len(rest) else []:
-            yield _batch([int(key[rest[0]] % np.uint64(buckets))], [GONE], [data])
-        keep = np.sort(order[first])
-        keep = keep[np.lexsort((place[keep], row[keep], doc[keep]))]
-        at, data = [], []
-        for b, mine in _by((key[keep] % np.uint64(buckets)).astype(np.int64)):
-            i = keep[mine]
-            at.append(b)
-            data.append(_pack_rows(doc[i], row[i], place[i].astype(np.uint32), n[i].astype(np.uint32), (key[i] >> np.uint64(32)).astype(np.uint32), whole[i]))
-        yield _batch(at, [RUNS] * len(at), data)
+def _tree_batches(size: np.ndarray, key: np.ndarray) -> Iterator[slice]:
+    """Texts in order of key, taken together up to TREE bytes, never with a key torn apart."""
+    last = np.flatnonzero(np.append(key[1:] != key[:-1], True)) if len(key) else np.zeros(0, np.int64)
+    upto, first = np.cumsum(size), 0
+    while first < len(size):
+        fit = np.searchsorted(upto[last], (upto[first - 1] if first else 0) + TREE, "right") - 1
+        end = int(last[max(fit, np.searchsorted(last, first))]) + 1
+        yield slice(first, end)
+        first = end
 
+
+def _decide(of: np.ndarray, later: np.ndarray, doc: np.ndarray, key: np.ndarray, text: Callable[[int], np.ndarray], size: np.ndarray, length: int) -> tuple[np.ndarray, ...]:
+    """Members of texts by the tree: (member, offset in its text, length) of each span to remove, and for each member
+    where its places lie in the last array, which says of each place whether a span holds all LENGTH bytes from it.
+
+    of, later: the text of each member and whether another document had that text before, ordered by text, then document;
+    key, size, text: of each text, ordered by key.
+    """
+    # a text enters the tree for its first document, and once more for its second
+    enter = np.flatnonzero(_news(of, later))
+    entry = np.cumsum(_news(of, later)) - 1
+    e_text, e_doc = of[enter], doc[enter]
+    e_size = size[e_text]
+    spans = [np.zeros((0, 3), np.int64)]
+    for some in _tree_batches(e_size, key[e_text]):
+        found = repeated_spans(np.concatenate([text(t) for t in e_text[some].tolist()]), e_size[some], e_doc[some], length)
+        found[:, 0] += some.start
+        spans.append(found)
+    spans = np.concatenate(spans)
+    spans = spans[np.argsort(spans[:, 0], kind="stable")]
+    room = e_size - length + 2  # a place more than there are, where spans may end
+    base = np.cumsum(room) - room
+    edge = np.bincount(base[spans[:, 0]] + spans[:, 1], minlength=int(room.sum())) - np.bincount(base[spans[:, 0]] + spans[:, 1] + spans[:, 2] - length + 1, minlength=int(room.sum()))
+    covered = np.cumsum(edge) > 0
+    times = np.bincount(spans[:, 0], minlength=len(enter))
+    start, n = (np.cumsum(times) - times)[entry], times[entry]
+    member = np.repeat(np.arange(len(of)), n)
+    pick = np.arange(len(member)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(start, n)
+    return member, spans[pick, 1], spans[pick, 2], base[entry], covered
+
+
+def _ranges(start: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """start, start + 1, ... of each range, n of them."""
+    return np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n - start, n)
+
+
+def _settle(data: np.ndarray, at: np.ndarray, doc: np.ndarray, row: np.ndarray, place: np.ndarray, n: np.ndarray, key: np.ndarray, whole: np.ndarray, hot: np.ndarray, length: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """(spans to remove, runs that go on) of one stretch: doc, row, place, bytes; doc, row, place, places, key, text's hash."""
+    mine = _shared(key, doc)
+    goes_on = np.ones(len(doc), bool)
+    frequent = np.isin(key, hot) if len(hot) else np.zeros(len(doc), bool)
+    gone, single = [np.zeros(0, np.int64)] * 4, []
+    if len(mine):
+        order, of, later = _classes(key[mine], whole[mine], doc[mine], row[mine], place[mine])
+        mine = mine[order]
+        first = np.flatnonzero(_news(of))
+        where, size = at[mine[first]], n[mine[first]] + length - 1
+        text = lambda t: data[where[t] : where[t] + size[t]]
+        member, offset, span, base, covered = _decide(of, later, doc[mine], key[mine[first]], text, size, length)
+        gone = [doc[mine[member]], row[mine[member]], place[mine[member]] + offset, span]
+        places = _ranges(base, n[mine])
+        whose = np.repeat(np.arange(len(mine)), n[mine])
+        left = ~covered[places]
+        goes_on[mine] = np.bincount(whose[left], minlength=len(mine)) > 0
+        deal = left & frequent[mine][whose]
+        single.append((mine[whose[deal]], (places - base[whose])[deal]))
+        alone = frequent.copy()
+        alone[mine] = False
+    else:
+        alone = frequent
+    if len(hot):
+        whose = np.repeat(np.flatnonzero(alone), n[alone])
+        single.append((whose, _ranges(np.zeros(int(alone.sum()), np.int64), n[alone])))
+        goes_on &= ~frequent
+    on = np.flatnonzero(goes_on)
+    runs = [doc[on], row[on], place[on], n[on], key[on], whole[on]]
+    if single and sum(len(x) for x, _ in single):
+        whose, offset = (np.concatenate(x) for x in zip(*single, strict=True))
+        with np.errstate(over="ignore"):
+            own = _hash_at(data, at[whose] + offset, length)
+        runs = [np.concatenate(x) for x in zip(runs, [doc[whose], row[whose], place[whose] + offset, np.ones(len(whose), np.int64), mix64(own), own], strict=True)]
+    return gone, runs
+
+
+def _hash_at(data: np.ndarray, at: np.ndarray, length: int, some: int = 1 << 16) -> np.ndarray:
+    """Hash of the `length` bytes at each of these places."""
+    powers = np.array([pow(BASE, length - 1 - i, 1 << 64) for i in range(length)], np.uint64)
+    windows = np.lib.stride_tricks.sliding_window_view(data, length)
+    return np.concatenate([np.zeros(0, np.uint64)] + [mix64((_BYTE[windows[at[i : i + some]]] * powers).sum(1, dtype=np.uint64)) for i in range(0, len(at), some)])
+
+
+def _stretches(batches: Iterator[pa.RecordBatch], length: int, gather: int) -> Iterator[tuple[list[bytes], list[int], list[int]]]:
+    """(texts, doc_ids, rows) of about `gather` bytes at a time; texts too short to hold a string are left out."""
+    texts, docs, rows, size = [], [], [], 0
     for batch in (whole.slice(i, 500) for whole in batches for i in range(0, whole.num_rows, 500)):
         for doc, row, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             data = text.encode("utf-8", "replace")
@@ -190,20 +289,50 @@ def _find_runs(batches: Iterator[pa.RecordBatch], buckets: int, drawers: int, le
             docs.append(doc)
             rows.append(row)
             size += len(data)
-            gathered += len(data)
-            if size >= STEP:
-                cut_texts()
-            if gathered >= GATHER:
-                if texts:
-                    cut_texts()
-                yield from send()
+            if size >= gather:
+                yield texts, docs, rows
+                texts, docs, rows, size = [], [], [], 0
     if texts:
-        cut_texts()
-    if held:
-        yield from send()
+        yield texts, docs, rows
+
+
+def _runs_of_stretch(texts: list[bytes], length: int) -> tuple[np.ndarray, ...]:
+    """Like runs_of, STEP bytes at a time."""
+    parts, first, size = [], 0, 0
+    for i, t in enumerate(texts):
+        size += len(t)
+        if size >= STEP or i == len(texts) - 1:
+            of, *more = runs_of(texts[first : i + 1], length)
+            parts.append((of + first, *more))
+            first, size = i + 1, 0
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+
+def _find_runs(batches: Iterator[pa.RecordBatch], buckets: int, drawers: int, hot: np.ndarray, length: int, gather: int) -> Iterator[pa.RecordBatch]:
+    for texts, docs, rows in _stretches(batches, length, gather):
+        of, place, n, key, whole = _runs_of_stretch(texts, length)
+        sizes = np.array([len(t) for t in texts], np.int64)
+        at = (np.cumsum(sizes) - sizes)[of] + place
+        doc, row = np.array(docs, np.int64)[of], np.array(rows, np.int64)[of]
+        gone, (doc, row, place, n, key, whole) = _settle(np.frombuffer(b"".join(texts), np.uint8), at, doc, row, place, n, key, whole, hot, length)
+        to, kind, data = [], [], []
+        if len(gone[0]):
+            order = np.lexsort((gone[2], gone[1], gone[0]))
+            to.append(int(docs[0] % buckets))
+            kind.append(GONE)
+            data.append(_pack_rows(gone[0][order], gone[1][order], gone[2][order].astype(np.uint32), gone[3][order].astype(np.uint32)))
+        order = np.lexsort((place, row, doc))
+        high = (key >> np.uint64(32)).astype(np.uint32)
+        for b, mine in _by((high[order] % np.uint32(buckets)).astype(np.int64)):
+            i = order[mine]
+            to.append(b)
+            kind.append(RUNS)
+            data.append(_pack_rows(doc[i], row[i], place[i].astype(np.uint32), n[i].astype(np.uint32), high[i], whole[i]))
+        yield _batch(to, kind, data)
 
 
 def _compare_runs(table: pa.Table, drawers: int, length: int) -> pa.Table:
+    """Of one bucket: the runs whose key several documents have (one row), and the texts to fetch, one of each that differs."""
     kinds, data = table.column("kind").to_pylist(), table.column("data").to_pylist()
     out: list[tuple[int, int, bytes]] = []
     gone = [_unpack_rows(x) for k, x in zip(kinds, data, strict=True) if k == GONE]
@@ -211,18 +340,16 @@ def _compare_runs(table: pa.Table, drawers: int, length: int) -> pa.Table:
     del data
     if runs:
         doc, row, place, n, key, whole = (np.concatenate(x) for x in zip(*runs, strict=True))
-        order, first = _first_only(key, whole, doc, row, place)
-        rest = order[~first]
-        gone.append([doc[rest], row[rest], place[rest], n[rest] + np.uint32(length - 1)])
-        left = order[first]
-        k, d = key[left], doc[left]
-        new = np.ones(len(left), bool)
-        new[1:] = k[1:] != k[:-1]
-        group, starts = np.cumsum(new) - 1, np.flatnonzero(new)
-        mixed = (np.maximum.reduceat(d, starts) > np.minimum.reduceat(d, starts))[group]  # other texts, other documents
-        ask = left[mixed]
-        ask = ask[np.lexsort((place[ask], row[ask], doc[ask]))]
-        out += [(dr, ASKED, _pack_rows(doc[ask[i]], row[ask[i]], place[ask[i]], n[ask[i]], key[ask[i]])) for dr, i in _by(doc[ask] % drawers)]
+        mine = _shared(key, doc)
+        if len(mine):
+            order, of, later = _classes(key[mine], whole[mine], doc[mine], row[mine], place[mine])
+            mine = mine[order]
+            first = mine[np.flatnonzero(_news(of))]
+            out.append((int(table.column("at")[0].as_py()), MEMBERS, pack(np.diff(of, prepend=0).astype(np.uint8), later, doc[mine], row[mine], place[mine], key[first], n[first])))
+            ask = np.lexsort((place[first], row[first], doc[first]))
+            for dr, i in _by(doc[first][ask] % drawers):
+                i = ask[i]
+                out.append((dr, ASKED, _pack_rows(doc[first[i]], row[first[i]], place[first[i]], n[first[i]], key[first[i]], i.astype(np.uint32))))
     if gone:
         out += [(dr, GONE, x) for dr, x in _gone(*(np.concatenate(x).astype(np.int64) for x in zip(*gone, strict=True)), drawers)]
     return pa.table(_columns(out))
@@ -233,15 +360,15 @@ def _columns(out: list[tuple[int, int, bytes]]) -> dict[str, pa.Array]:
 
 
 def _fetch(docs: pa.Table, asked: pa.Table, buckets: int, length: int) -> pa.Table:
-    """Texts of the runs asked for, by bucket of their key."""
+    """Texts asked for, by bucket of their key."""
     out: list[tuple[int, int, bytes]] = []
     asks = [_unpack_rows(x) for x in asked.column("data").to_pylist()]
     if asks:
-        doc, row, place, n, key = (np.concatenate(x) for x in zip(*asks, strict=True))
+        doc, row, place, n, key, number = (np.concatenate(x) for x in zip(*asks, strict=True))
         text = {(d, r): t.encode("utf-8", "replace") for d, r, t in zip(*(docs.column(c).to_pylist() for c in ("doc_id", "row", "text")), strict=True)}
         for b, i in _by((key % np.uint32(buckets)).astype(np.int64)):
             parts = [text[d, r][p : p + m + length - 1] for d, r, p, m in zip(doc[i].tolist(), row[i].tolist(), place[i].tolist(), n[i].tolist(), strict=True)]
-            out.append((b, RUNS, pack(doc[i], row[i], place[i], key[i], np.array([len(x) for x in parts], np.int64), np.frombuffer(b"".join(parts), np.uint8))))
+            out.append((b, RUNS, pack(number[i], np.frombuffer(b"".join(parts), np.uint8), n[i])))
     return pa.table(_columns(out))
 
 
@@ -317,52 +444,99 @@ def longest_with_earlier(repeats: list[tuple[int, int, int, int]], doc: np.ndarr
     return np.where(pick < 0, 0, length[pick])
 
 
-def _repeats(table: pa.Table, drawers: int, length: int, most: int = 1 << 19) -> pa.Table:
-    """Spans to remove, from the texts of one bucket; keys are taken together up to `most` bytes at once."""
-    parts = [unpack(x) for x in table.column("data").to_pylist()]
-    doc, row, place, key, size, data = (np.concatenate(x) for x in zip(*parts, strict=True))
-    starts = np.cumsum(size) - size
-    order = np.argsort(key, kind="stable")
-    upto = np.cumsum(size[order])
-    last = np.append(np.flatnonzero(np.diff(key[order])), len(order) - 1) if len(order) else np.zeros(0, np.int64)  # of each key
-    gone: list[np.ndarray] = [np.zeros((0, 4), np.int64)]
-    first = 0
-    while first < len(order):
-        done = upto[first - 1] if first else 0
-        fit = np.searchsorted(upto[last], done + most, "right")
-        end = int(last[min(max(fit - 1, np.searchsorted(last, first)), len(last) - 1)]) + 1
-        mine = order[first:end]
-        first = end
-        texts = [data[a : a + n] for a, n in zip(starts[mine].tolist(), size[mine].tolist(), strict=True)]
-        gone.append(_repeats_of(texts, doc[mine], row[mine], place[mine].astype(np.int64), length))
-    all_ = np.concatenate(gone)
-    return pa.table(_columns([(dr, GONE, x) for dr, x in _gone(*all_.T, drawers)]))
+def _order_short(data: np.ndarray, place: np.ndarray, left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(order, common prefix with the one before) of the suffixes at these places, with so many bytes left to them."""
+    wide = int(left.max())
+    rows = np.lib.stride_tricks.sliding_window_view(np.append(data, np.zeros(wide, np.uint8)), wide)[place]
+    rows[np.arange(wide) >= left[:, None]] = 0
+    order = np.lexsort((left, rows.view(f"S{wide}").ravel()))
+    rows, left = rows[order], left[order]
+    differ = rows[1:] != rows[:-1]
+    same = np.where(differ.any(1), differ.argmax(1), wide)
+    return order, np.append(0, np.minimum(same, np.minimum(left[1:], left[:-1])))
 
 
-def _repeats_of(texts: list[np.ndarray], doc: np.ndarray, row: np.ndarray, place: np.ndarray, length: int) -> np.ndarray:
-    """doc, row, place, length of each occurrence of a maximal repeat that starts in an earlier document too."""
-    size = np.array([len(t) for t in texts], np.int64)
+def _order_long(data: np.ndarray, starts: np.ndarray, size: np.ndarray, of: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same by the suffix array of the texts that hold these places."""
+    texts, mine = np.unique(of, return_inverse=True)
     # each text gets a mark of its own after it, which ends all common prefixes
-    codes = np.concatenate([x for k, t in enumerate(texts) for x in (t.astype(np.int32), np.array([256 + k], np.int32))])
-    of = np.repeat(np.arange(len(size), dtype=np.int32), size + 1)
-    at = np.arange(len(of)) - (np.cumsum(size + 1) - size - 1)[of]
-    order, common = suffix_array(codes, int(size.max(initial=1)))
-    left = np.empty(len(codes), np.int64)
-    left[1:] = codes[:-1]
-    left[0] = 256 + len(size)  # what ends the text before is unlike anything else
-    gone: list[np.ndarray] = [np.zeros((0, 4), np.int64)]
-    near = common >= length
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], near, [False]]).astype(np.int8)))
-    for a, b in zip(edge[::2] - 1, edge[1::2], strict=True):  # stretches of suffixes that share enough
-        mine = order[a:b]
-        d, one = doc[of[mine]], common[a:b].copy()
-        one[0] = 0
-        found = list(maximal_repeats(one.tolist(), left[mine].tolist(), d.tolist(), length))
-        if found:
-            n = longest_with_earlier(found, d)
-            late = np.flatnonzero(n)
-            gone.append(np.stack([doc[of[mine[late]]], row[of[mine[late]]], place[of[mine[late]]] + at[mine[late]], n[late]], 1))
-    return np.concatenate(gone)
+    codes = np.concatenate([x for k, t in enumerate(texts.tolist()) for x in (data[starts[t] : starts[t] + size[t]].astype(np.int32), np.array([256 + k], np.int32))])
+    begin = np.cumsum(size[texts] + 1) - size[texts] - 1
+    number = np.full(len(codes), -1)
+    number[begin[mine] + at] = np.arange(len(at))
+    order, common = suffix_array(codes, int(size[texts].max()))
+    found = np.flatnonzero(number[order] >= 0)
+    # the common prefix of two of these is the least of all between them
+    common = np.minimum.reduceat(common[: found[-1] + 1], np.append(0, found[:-1] + 1))
+    common[0] = 0
+    return number[order[found]], common
+
+
+def repeated_spans(data: np.ndarray, size: np.ndarray, doc: np.ndarray, length: int = LENGTH) -> np.ndarray:
+    """text, place, bytes of each occurrence of a maximal repeat that an earlier document has, too.
+
+    data holds the texts one after the other, each of `length` bytes at least. Only places whose next `length` bytes
+    stand in several documents, and not always after the same byte, can start one; only those are sorted. What stands
+    before a text's first byte is unlike anything else.
+    """
+    none = np.zeros((0, 3), np.int64)
+    if not len(size):
+        return none
+    starts, windows = np.cumsum(size) - size, size - length + 1
+    of = np.repeat(np.arange(len(size)), windows)
+    place = _ranges(starts, windows)
+    with np.errstate(over="ignore"):
+        h = _rolled(_BYTE[data], BASE, length)[place]
+    order = np.argsort(h, kind="stable")
+    new = _news(h[order])
+    first = np.flatnonzero(new)
+    often = np.diff(np.append(first, len(order))) > 1
+    order = order[often[np.cumsum(new) - 1]]
+    if not len(order):
+        return none
+    new = _news(h[order])
+    first, d = np.flatnonzero(new), doc[of[order]]
+    before = np.where(place[order] > starts[of[order]], data[place[order] - 1].astype(np.int64), 256 + of[order])
+    can = (np.maximum.reduceat(d, first) > np.minimum.reduceat(d, first)) & (np.maximum.reduceat(before, first) > np.minimum.reduceat(before, first))
+    group = np.cumsum(new) - 1
+    left = (starts + size)[of[order]] - place[order]
+    long = np.maximum.reduceat(left, first) > WIDE
+    found = []
+    for which in (can & ~long, can & long):
+        pick = which[group]
+        mine, one = order[pick], group[pick]
+        if not len(mine):
+            continue
+        n, code, whose = left[pick], before[pick], d[pick]
+        if long[one[0]]:
+            turns = [(slice(0, len(mine)), *_order_long(data, starts, size, of[mine], place[mine] - starts[of[mine]]))]
+        else:
+            cuts = [0, *(np.flatnonzero(np.diff(one // max(1, int(one[-1]) * len(mine) // (1 << 18)))) + 1).tolist()] if len(mine) > 1 << 18 else [0]
+            turns = [(slice(x, y), *_order_short(data, place[mine[x:y]], n[x:y])) for x, y in zip(cuts, [*cuts[1:], len(mine)], strict=True)]
+        for some, ranked, common in turns:
+            m, w = mine[some][ranked], whose[some][ranked]
+            repeats = list(maximal_repeats(common.tolist(), code[some][ranked].tolist(), w.tolist(), length))
+            if repeats:
+                bytes_ = longest_with_earlier(repeats, w)
+                late = np.flatnonzero(bytes_)
+                found.append(np.stack([of[m[late]], place[m[late]] - starts[of[m[late]]], bytes_[late]], 1))
+    return np.concatenate([none, *found])
+
+
+def _repeats(members: pa.Table, texts: pa.Table, drawers: int, length: int) -> pa.Table:
+    """Spans to remove from the runs of one bucket, by the tree over its texts."""
+    out: list[tuple[int, int, bytes]] = []
+    for packed in members.column("data").to_pylist():  # one row
+        step, later, doc, row, place, key, n = unpack(packed)
+        number, data, places = (np.concatenate(x) for x in zip(*(unpack(x) for x in texts.column("data").to_pylist()), strict=True))
+        size = places.astype(np.int64) + length - 1
+        where = np.empty(len(key), np.int64)
+        where[number] = np.cumsum(size) - size
+        size = n.astype(np.int64) + length - 1
+        text = lambda t, where=where, size=size, data=data: data[where[t] : where[t] + size[t]]
+        member, offset, span, *_ = _decide(np.cumsum(step, dtype=np.int64), later, doc, key, text, size, length)
+        out += [(dr, GONE, x) for dr, x in _gone(doc[member], row[member], place[member] + offset, span, drawers)]
+    return pa.table(_columns(out))
 
 
 def merged(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -410,16 +584,42 @@ def _with_row(docs: DataFrame) -> DataFrame:
     return slim.join(again, F.col("doc_id") == F.col("twice"), "left").select("doc_id", F.when(F.col("twice").isNotNull(), F.xxhash64("text")).otherwise(0).alias("row"), "text")
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, buckets: int | None = None) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of docs."""
-    buckets = buckets or max(61, 8 * parts_for(docs) + 1)
-    drawers = max(1, buckets // 4)
+def _hot_keys(rows: DataFrame, n_docs: int, length: int) -> np.ndarray:
+    """Keys of HOT_DOCS or more of about SAMPLE documents."""
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for texts, docs, _ in _stretches(batches, length, STEP):
+            of, _, _, key, _ = runs_of(texts, length)
+            doc = np.array(docs, np.int64)[of]
+            order = np.lexsort((doc, key))
+            yield pa.RecordBatch.from_arrays([pa.array(key[order][_news(key[order], doc[order])].view(np.int64))], names=["key"])
+
+    some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(max(1, n_docs // SAMPLE))) == 0)
+    often = some.mapInArrow(tidy(keys), "key long").groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= HOT_DOCS)
+    return np.sort(np.array([r["key"] for r in often.select("key").collect()], np.int64).view(np.uint64))
+
+
+def _prime(n: int) -> int:
+    """The least prime from n on, so that doc_ids that come in steps still spread."""
+    return next(p for p in range(max(2, n), 2 * max(2, n) + 1) if all(p % d for d in range(2, int(p**0.5) + 1)))
+
+
+def remove_repeats(docs: DataFrame, length: int = LENGTH, buckets: int | None = None, gather: int = GATHER) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row of docs.
+
+    buckets: buckets of keys, by default as many as the input's bytes ask for. gather: bytes of a stretch.
+    """
     rows = _with_row(docs)
-    placed = rows.withColumn("at", F.coalesce(F.pmod("doc_id", F.lit(drawers)), F.lit(0)).cast("int"))
-    runs = rows.where("doc_id IS NOT NULL").mapInArrow(tidy(lambda b: _find_runs(b, buckets, drawers, length)), PACKED)
+    told = rows.agg(F.count("*").alias("docs"), F.sum(F.octet_length("text")).alias("bytes")).first()
+    buckets = _prime(buckets or (told["bytes"] or 0) // BUCKET)
+    drawers = _prime((told["bytes"] or 0) // DRAWER)
+    rows = rows.withColumn("at", F.coalesce(F.pmod("doc_id", F.lit(drawers)), F.lit(0)).cast("int"))
+    known = rows.where("doc_id IS NOT NULL").select("doc_id", "row", "text")
+    hot = _hot_keys(known, told["docs"], length)
+    runs = known.mapInArrow(tidy(lambda b: _find_runs(b, buckets, drawers, hot, length, gather)), PACKED)
     found = cut(runs.groupBy("at").applyInArrow(lambda t: _compare_runs(t, drawers, length), PACKED), "runs")
-    asked = found.where(F.col("kind") == ASKED)
-    texts = placed.where("doc_id IS NOT NULL").groupBy("at").cogroup(asked.groupBy("at")).applyInArrow(lambda d, a: _fetch(d, a, buckets, length), PACKED)
-    compared = texts.groupBy("at").applyInArrow(lambda t: _repeats(t, drawers, length), PACKED)
+    kind = lambda k: found.where(F.col("kind") == k).groupBy("at")
+    texts = rows.groupBy("at").cogroup(kind(ASKED)).applyInArrow(lambda d, a: _fetch(d, a, buckets, length), PACKED)
+    compared = kind(MEMBERS).cogroup(texts.groupBy("at")).applyInArrow(lambda m, t: _repeats(m, t, drawers, length), PACKED)
     gone = found.where(F.col("kind") == GONE).unionByName(compared)
-    return placed.groupBy("at").cogroup(gone.groupBy("at")).applyInArrow(_finish, RESULT)
+    return rows.groupBy("at").cogroup(gone.groupBy("at")).applyInArrow(_finish, RESULT)

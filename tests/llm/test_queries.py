@@ -6,6 +6,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 from test_local import naive_removal, random_docs
 
 from alignspark.llm import decontaminate, html_template, langid, mixing, quality, queries, simhash, suffix_dedup, token_output, url_filter
@@ -44,6 +45,35 @@ def test_repeats_removed(spark):
     assert suffix_dedup.remove_repeats(no_docs(spark)).count() == 0
 
 
+@pytest.mark.parametrize(("gather", "often"), [(300, 1), (300, 1000), (1 << 20, 2)])
+def test_repeats_over_stretches_and_frequent_keys(spark, monkeypatch, gather, often):
+    import random
+
+    monkeypatch.setattr(suffix_dedup, "HOT_DOCS", often)
+    rnd, passage = random.Random(11), "the one passage that every document of this table holds, word for word. "
+    docs = [*random_docs(rnd), *((2000 + i, f"{i} own words {i * 7} " + passage + f"and its end {i}") for i in range(60)), *((3000 + i, passage * 3) for i in range(20))]
+    want = naive_removal([(d, t.encode()) for d, t in docs], 50)
+    got = suffix_dedup.remove_repeats(spark.createDataFrame(docs, "doc_id long, text string"), buckets=3, gather=gather).collect()
+    assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in got} == want
+
+
+def test_tree_decides_on_equal_texts_too():
+    text = bytes(range(60)) * 2
+    data, size = np.frombuffer(text[:70] * 3, np.uint8), np.array([70, 70, 70])
+    assert suffix_dedup.repeated_spans(data, size, np.array([5, 9, 5])).tolist() == [[1, 0, 70]]
+
+
+def test_packed_rows_follow_the_input_not_the_partitions(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", F.lit(0).cast("long").alias("row"), "text")
+    none, counts, before = np.zeros(0, np.uint64), [], spark.conf.get("spark.sql.shuffle.partitions")
+    for parts in (8, 64):
+        spark.conf.set("spark.sql.shuffle.partitions", str(parts))
+        runs = docs.coalesce(1).mapInArrow(lambda b: suffix_dedup._find_runs(b, 3, 3, none, 50, 1 << 20), suffix_dedup.PACKED)
+        counts.append(runs.groupBy("at").applyInArrow(lambda t: suffix_dedup._compare_runs(t, 3, 50), suffix_dedup.PACKED).count())
+    spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert counts[0] == counts[1] <= 3 * (1 + 3 + 3)
+
+
 def test_rows_of_one_id_are_cut_for_themselves(spark):
     a, b = "".join(chr(97 + i % 23) for i in range(90)), "".join(chr(97 + i * 7 % 19) for i in range(80))
     got = suffix_dedup.remove_repeats(spark.createDataFrame([(1, a), (2, "zz" + a), (2, b + a), (2, b + a)], "doc_id long, text string"), buckets=3).collect()
