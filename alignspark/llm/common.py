@@ -8,6 +8,7 @@ import gc
 import shutil
 import tempfile
 import uuid
+from operator import itemgetter
 
 import numpy as np
 import pyarrow as pa
@@ -80,20 +81,19 @@ class Words(dict):
 
     def __init__(self) -> None:
         super().__init__()
-        self.seen = 0
+        self.new = []
 
     def __missing__(self, w: bytes) -> int:
         i = self[w] = len(self)
+        self.new.append(w)
         return i
 
     def ids(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), np.int32, len(words))
+        found = itemgetter(*words)(self) if len(words) > 1 else [self[w] for w in words]
+        return np.fromiter(found, np.int32, len(words))
 
     def fresh(self) -> list[bytes]:
-        from itertools import islice
-
-        new = list(islice(self, self.seen, None))
-        self.seen = len(self)
+        new, self.new = self.new, []
         return new
 
 

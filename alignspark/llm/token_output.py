@@ -11,8 +11,11 @@ with its own row; very long texts are encoded whole; an empty table writes no se
 
 from __future__ import annotations
 
+import gc
+import re
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -20,72 +23,126 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import new_path, parts_for, tidy
+from .common import Words, new_path, parts_for, tidy
 from .token_coder import pack, unpack
 
-END_ID, SEGMENT_IDS, MAX_WORDS_KEPT = 2, 1 << 22, 300_000
+END_ID, SEGMENT_IDS, MAX_CHUNKS_KEPT = 2, 1 << 23, 400_000
 SEGMENT = "shard int, segment int, n_ids long, doc_ids binary, no_id binary, lengths binary, data binary"
 
 
 class CachedTokenizer:
-    """The tokenizer's ids of a text, from those of its space-separated chunks.
+    """The tokenizer's ids of texts, from those of their chunks between white space.
 
     Only for tokenizers that never join characters across white space and drop it (such as word BPE with word ends);
-    anything else must be encoded whole. Chunks repeat a lot, so each is encoded once while it is kept.
+    anything else must be encoded whole. Chunks repeat a lot, so each is encoded once while it is kept. A chunk of nothing
+    but Latin letters, digits and ASCII signs is cut into its words as the tokenizer cuts them, and these go straight to
+    its model, once each; any other chunk goes through the whole tokenizer.
     """
 
-    def __init__(self, path: str) -> None:
-        from tokenizers import Tokenizer
+    PLAIN = re.compile(r"[!-&(-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+")
+    WORDS = re.compile(r"[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        if len(self.known) > MAX_WORDS_KEPT:
-            self.known = {}
-        chunks = [[c for line in t.split("\n") for c in line.split(" ")] for t in texts]
-        new = list({c for x in chunks for c in x if c not in self.known})
-        for i in range(0, len(new), 5000):
-            some = new[i : i + 5000]
-            # one call for many chunks: their tokens are told apart by where they stand
-            e = self.tokenizer.encode(" ".join(some), add_special_tokens=False)
-            ends = np.cumsum([len(c) + 1 for c in some])
-            of = np.searchsorted(ends, np.fromiter((a for a, _ in e.offsets), np.int64, len(e.ids)), "right")
-            ids, cuts = np.array(e.ids, "<u4"), np.searchsorted(of, np.arange(len(some) + 1))
-            for k, c in enumerate(some):
-                self.known[c] = ids[cuts[k] : cuts[k + 1]].tobytes()
-        return [b"".join(map(self.known.__getitem__, x)) for x in chunks]
+    def __init__(self, path: str, end_id: int | None = None) -> None:
+        from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel
+
+        self.tokenizer, self.end_id = Tokenizer.from_file(path), end_id
+        # the letter that stands for each byte in the model's alphabet
+        letters = ByteLevel(add_prefix_space=False, use_regex=False)
+        self.letter = {}
+        for c in range(1, 256):
+            shown = letters.pre_tokenize_str(chr(c))[0][0]
+            for byte, letter in zip(chr(c).encode(), shown, strict=True):
+                self.letter[byte] = letter
+        self.forget()
+
+    def forget(self) -> None:
+        self.chunks, self.words = Words(), {}
+        self.size, self.start, self.flat, self.used = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(4096, np.uint32), 0
+
+    def _word(self, word: str) -> list[int]:
+        shown = word if word.isascii() else word.encode().decode("latin-1").translate(self.letter)
+        ids = self.words[word] = [t.id for t in self.tokenizer.model.tokenize(shown)]
+        return ids
+
+    def _learn(self, new: list[str]) -> None:
+        """Ids of chunks that come for the first time."""
+        found, known, odd = [], self.words, []
+        plain, cut = self.PLAIN.fullmatch, self.WORDS.findall
+        for k, c in enumerate(new):
+            ids: list[int] = []
+            if c == "\n":  # stands for the end of a text
+                ids = [] if self.end_id is None else [self.end_id]
+            elif plain(c) and "<|" not in c:
+                for w in cut(c.lower()):
+                    ids += known.get(w) or self._word(w)
+            else:
+                odd.append(k)
+            found.append(ids)
+        for k, e in zip(odd, [] if not odd else self.tokenizer.encode_batch([new[k] for k in odd], add_special_tokens=False), strict=True):
+            found[k] = e.ids
+        sizes = np.fromiter(map(len, found), np.int64, len(found))
+        first, more = len(self.chunks) - len(new), int(sizes.sum())
+        while first + len(new) > len(self.size):
+            self.size, self.start = np.append(self.size, np.zeros_like(self.size)), np.append(self.start, np.zeros_like(self.start))
+        while self.used + more > len(self.flat):
+            self.flat = np.append(self.flat, np.zeros_like(self.flat))
+        self.size[first : first + len(new)] = sizes
+        self.start[first : first + len(new)] = self.used + np.cumsum(sizes) - sizes
+        self.flat[self.used : self.used + more] = np.fromiter(chain.from_iterable(found), np.uint32, more)
+        self.used += more
+
+    def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after the other, with the end id after each if there is one, number of ids of each)."""
+        if len(self.chunks) > MAX_CHUNKS_KEPT:
+            self.forget()
+        chunks, ends = [], []
+        for t in texts:
+            # split() would also cut at these four, which the tokenizer keeps
+            if "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t:
+                chunks += [c for line in t.split("\n") for c in line.split(" ")]
+            else:
+                chunks += t.split()
+            chunks.append("\n")
+            ends.append(len(chunks))
+        number = self.chunks.ids(chunks)
+        if new := self.chunks.fresh():
+            self._learn(new)
+        n = self.size[number]
+        upto = np.cumsum(n)
+        of_text = upto[np.array(ends, np.int64) - 1] if ends else np.zeros(0, np.int64)
+        ids = self.flat[np.arange(int(upto[-1]) if len(upto) else 0) + np.repeat(self.start[number] - upto + n, n)]
+        return ids, np.diff(of_text, prepend=0)
 
 
 def write(docs: DataFrame, tokenizer_path: str, path: str, end_id: int = END_ID) -> None:
     """Encode all texts and write the segments to path."""
     import os
 
-    end = np.array([end_id], "<u4").tobytes()
-
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        tokenizer, shard = CachedTokenizer(tokenizer_path), TaskContext.get().partitionId()
-        ids, lengths, parts, held, number = [], [], [], 0, 0
+        tokenizer, shard = CachedTokenizer(tokenizer_path, end_id), TaskContext.get().partitionId()
+        docs, lengths, parts, held, number = [], [], [], 0, 0
 
         def segment() -> pa.RecordBatch:
-            known = np.array([x is not None for x in ids])
-            row = [shard, number, held, np.array([x or 0 for x in ids], "<i8").tobytes(), np.packbits(~known).tobytes(), np.array(lengths, "<i8").tobytes(), pack(np.frombuffer(b"".join(parts), "<u4").astype(np.int64))]
+            ids = pa.chunked_array(docs).combine_chunks()
+            known = np.asarray(ids.is_valid())
+            row = [shard, number, held, np.asarray(ids.fill_null(0)).astype("<i8").tobytes(), np.packbits(~known).tobytes(), np.concatenate(lengths).astype("<i8").tobytes(), pack(np.concatenate(parts))]
             return pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(row, (pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["shard", "segment", "n_ids", "doc_ids", "no_id", "lengths", "data"])
 
-        for whole in batches:
-            for i in range(0, whole.num_rows, 500):
-                batch = whole.slice(i, 500)
-                for doc, x in zip(batch.column(0).to_pylist(), tokenizer.encode([t or "" for t in batch.column(1).to_pylist()]), strict=True):
-                    ids.append(doc)
-                    lengths.append(len(x) // 4 + 1)
-                    parts += (x, end)
-                    held += lengths[-1]
-                    if held >= SEGMENT_IDS:
-                        yield segment()
-                        ids, lengths, parts, held, number = [], [], [], 0, number + 1
-        if ids:
+        gc.disable()  # millions of short lists, none in a cycle
+        for batch in (whole.slice(i, 100) for whole in batches for i in range(0, whole.num_rows, 100)):
+            ids, sizes = tokenizer.encode([t or "" for t in batch.column(1).to_pylist()])
+            docs.append(batch.column(0))
+            lengths.append(sizes)
+            parts.append(ids)
+            held += len(ids)
+            if held >= SEGMENT_IDS:
+                yield segment()
+                docs, lengths, parts, held, number = [], [], [], 0, number + 1
+        if docs:
             yield segment()
+        gc.enable()
 
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     rows = rows.repartitionByRange(parts_for(docs), "doc_id").sortWithinPartitions("doc_id")
@@ -98,7 +155,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
-                ids, lengths = unpack(r["data"]).astype("<u4"), np.frombuffer(r["lengths"], "<i8")
+                ids, lengths = unpack(r["data"]).astype("<u4", copy=False), np.frombuffer(r["lengths"], "<i8")
                 docs, none = np.frombuffer(r["doc_ids"], "<i8"), np.unpackbits(np.frombuffer(r["no_id"], np.uint8))[: len(lengths)].astype(bool)
                 ends = np.cumsum(lengths)
                 crc = [zlib.crc32(ids[b - n : b].tobytes()) for b, n in zip(ends, lengths, strict=True)]

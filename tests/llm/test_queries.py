@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 from test_local import naive_removal, random_docs
 
-from alignspark.llm import decontaminate, html_template, langid, mixing, quality, queries, simhash, suffix_dedup, token_output, url_filter
+from alignspark.llm import decontaminate, html_template, langid, mixing, quality, queries, simhash, suffix_dedup, token_coder, token_output, url_filter
 from alignspark.llm.oracles import oracle_sql
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, h long, key string, bucket int, size int, rank int"
@@ -97,12 +97,25 @@ def test_tokens(spark, sf):
     assert token_output.round_trip(no_docs(spark), queries.tokenizer_path()).count() == 0
 
 
-def test_chunked_tokenizer_equals_whole_text():
+def test_chunked_tokenizer_equals_whole_text(spark):
     from tokenizers import Tokenizer
 
-    t, c = Tokenizer.from_file(queries.tokenizer_path()), token_output.CachedTokenizer(queries.tokenizer_path())
+    t = Tokenizer.from_file(queries.tokenizer_path())
     texts = ["It's 12 o'clock\n\nÉtÉ  ÀB", "a\u0301 b \u0301c", "\tx\u00a0y\u2003z\r\n", "<|endoftext|> a<|endoftext|>b", "don't 'S ''s", "ΑΣ Σ", "İ I", "", " "]
-    assert c.encode(texts) == [np.array(t.encode(x, add_special_tokens=False).ids, "<u4").tobytes() for x in texts]
+    texts += ["M\u00dcLLER stra\u00dfe42, \u00c9t\u00e9&&& x\x1cy \x1f", "a\u00d7b \u00f7 \u00aa\u00b5 co-op {e}~", "<|startoftext|>", "\u0130stanbul \ufb01n", "\u1e9bx o\u0308", "tab\x0bv\x85n"]
+    texts += [r["text"] or "" for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("text").collect()]
+    for end in (None, 2):
+        c = token_output.CachedTokenizer(queries.tokenizer_path(), end)
+        want = [t.encode(x, add_special_tokens=False).ids + ([] if end is None else [end]) for x in texts]
+        for _ in range(2):
+            ids, sizes = c.encode(texts)
+            assert sizes.tolist() == list(map(len, want)) and ids.tolist() == [i for x in want for i in x]
+
+
+def test_ids_beyond_sixteen_bits():
+    ids = np.random.default_rng(2).integers(0, 1 << 32, 3000)
+    ids[::3] = 1 << 20
+    assert (token_coder.unpack(token_coder.pack(ids)) == ids).all()
 
 
 def duck(sql, tables):
