@@ -2,12 +2,8 @@
 
 from __future__ import annotations
 
-import atexit
 import ctypes
 import gc
-import shutil
-import tempfile
-import uuid
 from operator import itemgetter
 
 import numpy as np
@@ -15,36 +11,24 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..plans.shared import cut, new_path, release, shared_dir  # noqa: F401
+
 #: Words of the contracts: runs of anything but space, tab, \n, \v, \f and \r.
 WORD = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
-_own: list[str] = []
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a folder of our own only where that is unset (tests, local mode)."""
-    if found := spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir"):
-        return found.rstrip("/")
-    if not _own:
-        _own.append(tempfile.mkdtemp(prefix="alignspark-"))
-        atexit.register(shutil.rmtree, _own[0], ignore_errors=True)
-    return f"file://{_own[0]}"
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame, name: str = "cut") -> DataFrame:
-    """Write df as Parquet into the shared folder and read it back: lineage ends there, and a lost executor loses nothing."""
-    path = new_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+def free_names(docs: DataFrame, *names: str) -> list[str]:
+    """These names, each with as many underscores before it as keep it apart from docs' columns in any case of letters."""
+    taken, out = {c.lower() for c in docs.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        out.append(name)
+    return out
 
 
 def tidy(run):
@@ -110,22 +94,24 @@ def mix64(x: np.ndarray) -> np.ndarray:
 
 def keep_one(docs: DataFrame, families) -> DataFrame:
     """docs with one row of each family: the least doc_id (null last), then the least hash of doc_id and text; of rows
-    equal in both, the least hash of the whole row.
+    equal in both, the least hash of the whole row. Columns of docs may have any names.
 
     families(nodes) gives doc_id, family of nodes (doc_id, text), whose doc_id is a hash of a row's doc_id and text.
     """
-    node = F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)), F.col("text").isNull(), F.coalesce(F.col("text").cast("string"), F.lit("")))
-    marked = docs.withColumn("__node", node)
-    counted = cut(marked.groupBy("__node").agg(F.min(F.col("doc_id").cast("long")).alias("id"), F.count("*").alias("n")), "nodes")
-    of = families(marked.select(F.col("__node").alias("doc_id"), "text")).select(F.col("doc_id").alias("__node"), "family").distinct()
-    of = cut(of.join(counted, "__node"), "families")
-    first = of.groupBy("family").agg(F.min(F.struct(F.col("id").isNull(), "id", "__node"))["__node"].alias("first"))
+    node, row, place, gone_node = free_names(docs, "node", "row", "place", "gone_node")
+    hashed = F.xxhash64(F.col("doc_id").isNull(), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)), F.col("text").isNull(), F.coalesce(F.col("text").cast("string"), F.lit("")))
+    marked = docs.withColumn(node, hashed)
+    slim = docs.select(hashed.alias("node"), F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
+    counted = cut(slim.groupBy("node").agg(F.min("id").alias("id"), F.count("*").alias("n")), "nodes")
+    of = families(slim.select(F.col("node").alias("doc_id"), "text")).select(F.col("doc_id").alias("node"), "family").distinct()
+    of = cut(of.join(counted, "node"), "families")
+    first = of.groupBy("family").agg(F.min(F.struct(F.col("id").isNull(), "id", "node"))["node"].alias("first"))
     ranked = of.join(first, "family")
-    many = cut(ranked.where("__node = first AND n > 1").select("__node"), "many")
-    gone = cut(ranked.where("__node <> first").select("__node").unionByName(many), "gone")
-    kept = marked.join(gone, "__node", "left_anti")
+    many = cut(ranked.where("node = first AND n > 1").select(F.col("node").alias(gone_node)), "many")
+    gone = cut(ranked.where("node <> first").select(F.col("node").alias(gone_node)).unionByName(many), "gone")
+    kept = marked.join(gone, F.col(node) == F.col(gone_node), "left_anti")
     if many.limit(1).count():
-        place = F.row_number().over(Window.partitionBy("__node").orderBy("__row"))
-        equal = marked.join(many, "__node", "left_semi").withColumn("__row", F.xxhash64(*docs.columns)).withColumn("__place", place).where("__place = 1")
+        ranks = F.row_number().over(Window.partitionBy(node).orderBy(row))
+        equal = marked.join(many, F.col(node) == F.col(gone_node), "left_semi").withColumn(row, F.xxhash64(*(F.col(f"`{c}`") for c in docs.columns))).withColumn(place, ranks).where(F.col(place) == 1)
         kept = kept.select(*docs.columns).unionByName(equal.select(*docs.columns))
     return kept.select(*docs.columns)

@@ -167,10 +167,10 @@ def fit(docs: DataFrame, per_language: int = PER_LANGUAGE) -> LanguageModels:
     """From at most per_language texts of each language, chosen by a hash of doc_id among folds 0, 1 and 3."""
     known = docs.select("doc_id", "lang").where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & (fold(F.col("doc_id")) != 2))
     known = known.withColumn("__order", F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)) / float(1 << 40))
-    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(1000).collect()}
+    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row a language
     if not counts:
         return train({})
-    each = min(per_language, MOST_DOCS // len(counts))
+    each = max(1, min(per_language, MOST_DOCS // len(counts)))
     share = F.create_map(*[x for k, n in counts.items() for x in (F.lit(k), F.lit(4.0 * each / n))])
     first = known.where(F.col("__order") < share[F.col("lang")]).dropDuplicates(["doc_id"])  # a few times the sample, so no large group is sorted
     ids = first.withColumn("__rank", F.row_number().over(Window.partitionBy("lang").orderBy("__order", "doc_id"))).where(F.col("__rank") <= each).select("doc_id", "__rank")

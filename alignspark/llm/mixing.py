@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, cut
+from .common import WORD, cut, free_names
 
 WEIGHTS, SHARE, MOST, BINS, SEED = (5.0, 2.0, 1.0), 1.5, 2.0, 4096, "mix-1"
 
@@ -77,13 +77,19 @@ def plan(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = S
 
 
 def mix(docs: DataFrame, **kw) -> DataFrame:
-    """docs with every row as many times as the plan takes it.
+    """docs with every row as many times as the plan takes it, in all columns, whatever their names.
 
-    Rows that agree in doc_id, source and size share the copies evenly, at least one each if any is taken.
+    Rows that agree in doc_id, source and size share their copies: each gets the same number, and the first of them, by
+    a hash of the whole row, one more where the copies don't divide evenly. Only such rows are put in order.
     """
-    kept = plan(docs.select("doc_id", "source", "text"), **kw).groupBy("doc_id", "source", "size").agg(F.sum("copies").alias("__copies"), F.count("*").alias("__rows")).where("__copies > 0")
-    kept = kept.toDF("__id", "__of", "__words", "__copies", "__rows")
-    mine = docs.withColumn("__size", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long"))
-    same = F.col("doc_id").eqNullSafe(F.col("__id")) & F.col("source").eqNullSafe(F.col("__of")) & (F.col("__size") == F.col("__words"))
-    each = F.greatest(F.floor(F.col("__copies") / F.col("__rows")).cast("int"), F.lit(1))
-    return mine.join(kept, same).withColumn("__n", F.explode(F.array_repeat(F.lit(1), each))).select(*docs.columns)
+    size, id_, of, words, copies, rows, place, turn = free_names(docs, "size", "id", "of", "words", "copies", "rows", "place", "turn")
+    kept = plan(docs.select("doc_id", "source", "text", *([kw["importance"]] if kw.get("importance") else [])), **kw)
+    kept = kept.groupBy("doc_id", "source", "size").agg(F.sum("copies").alias(copies), F.count("*").alias(rows)).toDF(id_, of, words, copies, rows).where(F.col(copies) > 0)
+    mine = docs.withColumn(size, F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long"))
+    same = F.col("doc_id").eqNullSafe(F.col(id_)) & F.col("source").eqNullSafe(F.col(of)) & (F.col(size) == F.col(words))
+    found = mine.join(kept, same)
+    each, left = F.floor(F.col(copies) / F.col(rows)).cast("int"), F.pmod(copies, rows)
+    ranks = F.row_number().over(Window.partitionBy(id_, of, words).orderBy(F.xxhash64(*(F.col(f"`{c}`") for c in docs.columns))))
+    even = found.where(left == 0).withColumn(place, each)
+    odd = found.where(left > 0).withColumn(place, each + (ranks <= left).cast("int"))
+    return even.unionByName(odd).withColumn(turn, F.explode(F.array_repeat(F.lit(1), F.col(place)))).select(*docs.columns)

@@ -54,8 +54,8 @@ def repeated_lines(text: bytes) -> int:
     return len(lines) - len(set(lines))
 
 
-def _rate(batches: Iterator[pa.RecordBatch], model: Model, min_probability: float, slice_rows: int = 2000) -> Iterator[pa.RecordBatch]:
-    scorer = Scorer(model)
+def _rate(batches: Iterator[pa.RecordBatch], model: Model, min_probability: float, slice_rows: int = 2000, scorer: Scorer | None = None) -> Iterator[pa.RecordBatch]:
+    scorer = scorer or Scorer(model)
     for whole in batches:
         for i in range(0, whole.num_rows, slice_rows):
             batch = whole.slice(i, slice_rows)
@@ -92,10 +92,11 @@ def keep_good(docs: DataFrame, model: Model, min_probability: float = MIN_PROBAB
     at = docs.columns.index("text")
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scorer = Scorer(held.value)  # one for the task, so that words stay known
         for batch in batches:
             if batch.num_rows:
                 judged = pa.RecordBatch.from_arrays([pa.array(np.arange(batch.num_rows)), batch.column(at)], names=["doc_id", "text"])
-                verdicts = [x.column(RATED_NAMES.index("kept")) for x in _rate(iter([judged]), held.value, min_probability)]
+                verdicts = [x.column(RATED_NAMES.index("kept")) for x in _rate(iter([judged]), held.value, min_probability, scorer=scorer)]
                 yield batch.filter(pa.concat_arrays(verdicts))
 
     return docs.mapInArrow(tidy(kept), schema)

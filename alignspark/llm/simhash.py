@@ -154,25 +154,26 @@ def links(nodes: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(fp), number, np.int8)), pa.array(key.view(np.int64)), pa.array(fp.view(np.int64))], names=["number", "key", "fp"])
 
     def link(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept = [np.zeros(0, np.int64)] * 3
+        kept: list[list[np.ndarray]] = []  # parts of the last key's columns, put together once the key has ended
 
-        def out(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["fp", "to"])
+        def out(parts: list[list[np.ndarray]]) -> Iterator[pa.RecordBatch]:
+            number, key, fp = (np.concatenate(x) for x in zip(*parts, strict=True))
+            a, b = _links(number, key, fp.view(np.uint64))
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["fp", "to"])
 
         for batch in batches:
-            now = [np.concatenate([k, batch.column(j).to_numpy(zero_copy_only=False).astype(np.int64)]) for j, k in enumerate(kept)]
+            now = [batch.column(j).to_numpy(zero_copy_only=False).astype(np.int64) for j in range(3)]
             if not len(now[0]):
                 continue
-            # the last key may go on in the next batch
             last = (now[0] == now[0][-1]) & (now[1] == now[1][-1])
-            kept = [x[last] for x in now]
-            done = [x[~last] for x in now]
-            a, b = _links(done[0], done[1], done[2].view(np.uint64))
-            if len(a):
-                yield out(a, b)
-        a, b = _links(kept[0], kept[1], kept[2].view(np.uint64))
-        if len(a):
-            yield out(a, b)
+            if kept and last.all() and now[0][0] == kept[0][0][0] and now[1][0] == kept[0][1][0]:
+                kept.append(now)
+                continue
+            yield from out([*kept, [x[~last] for x in now]])
+            kept = [[x[last] for x in now]]
+        if kept:
+            yield from out(kept)
 
     filed = nodes.select("fp").mapInArrow(file, "number byte, key long, fp long")
     return filed.repartition("number", "key").sortWithinPartitions("number", "key").mapInArrow(tidy(link), "fp long, to long").distinct()

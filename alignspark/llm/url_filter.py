@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from .common import ascii_lower
 
-#: Bytes of Bloom filter that may be broadcast; a longer list goes straight to the shuffled exact join.
+#: Bytes of Bloom filter that are broadcast at most; a longer list gets fewer bits a key, and the exact join more to do.
 MAX_FILTER_BYTES = 32 << 20
 WORDS_PER_BLOCK, BITS_PER_KEY, PROBES = 8, 16, 8
 
@@ -67,9 +67,8 @@ class BlockedBloom:
         return max(1, -(-n * BITS_PER_KEY // (64 * WORDS_PER_BLOCK)))
 
     @classmethod
-    def build(cls, hashes: DataFrame, n: int) -> BlockedBloom:
+    def build(cls, hashes: DataFrame, blocks: int) -> BlockedBloom:
         """From a DataFrame with a long column h: bits are OR-ed by block on the executors."""
-        blocks = cls.blocks_for(n)
         bit = lambda i: F.expr(f"pmod(shiftrightunsigned(xxhash64(h), {7 * i}), 512)")
         word = lambda j: F.reduce(F.array(*[bit(i) for i in range(PROBES)]), F.lit(0).cast("long"), lambda a, b: F.when(F.floor(b / 64) == j, a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(b, F.lit(64)).cast("int")))).otherwise(a))
         rows = (
@@ -97,15 +96,15 @@ def listed_urls(pages: DataFrame, listed: DataFrame, url: str = "url", max_filte
     seen = pages.select(F.col(url).alias("url")).where(F.col("url").isNotNull()).distinct()
     looked = seen.select("url", F.explode(lookups(*split_url(F.col("url")))).alias("canon")).withColumn("h", F.xxhash64("canon"))
     n = wanted.count()
-    if BlockedBloom.blocks_for(n) * 64 <= max_filter_bytes:
-        bloom = BlockedBloom.build(wanted.select(F.xxhash64("canon").alias("h")), n)
-        held = pages.sparkSession.sparkContext.broadcast(bloom.words)
+    blocks = max(1, min(BlockedBloom.blocks_for(n), max_filter_bytes // 64))
+    bloom = BlockedBloom.build(wanted.select(F.xxhash64("canon").alias("h")), blocks)
+    held = pages.sparkSession.sparkContext.broadcast(bloom.words)
 
-        @F.pandas_udf("boolean")
-        def may_hold(h: pd.Series, again: pd.Series) -> pd.Series:
-            return pd.Series(BlockedBloom(held.value).may_hold(h.to_numpy(np.int64), again.to_numpy(np.int64)))
+    @F.pandas_udf("boolean")
+    def may_hold(h: pd.Series, again: pd.Series) -> pd.Series:
+        return pd.Series(BlockedBloom(held.value).may_hold(h.to_numpy(np.int64), again.to_numpy(np.int64)))
 
-        looked = looked.where(may_hold("h", F.xxhash64("h")))
+    looked = looked.where(may_hold("h", F.xxhash64("h")))
     return looked.join(wanted.hint("shuffle_hash"), "canon", "left_semi").select("url").distinct()
 
 

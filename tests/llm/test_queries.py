@@ -12,7 +12,8 @@ from test_local import naive_removal, random_docs
 from alignspark.llm import decontaminate, html_template, langid, mixing, quality, queries, simhash, suffix_dedup, token_coder, token_output, url_filter
 from alignspark.llm.oracles import oracle_sql
 
-DOCS = "doc_id long, text string, lang string, source string, n_chars long, h long, key string, bucket int, size int, rank int"
+CLASHES = "h key bucket size rank node row place gone_node spans items id of words copies rows turn word n at fp label family component_id __spans __items __gone __size __id __n __copies __rows".split()
+DOCS = "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{c} int" for c in CLASHES)
 
 
 def edge_docs(spark):
@@ -21,7 +22,7 @@ def edge_docs(spark):
         (4, "word " * 4000, "en", "b", 20000), (None, "no id here at all", None, None, None), (5, "é" * 60, "fr", "c", 60), (6, "é" * 60 + "x", "fr", "c", 61),
         (7, " \t\n", "fr", None, 3), (8, "12345 !!", "de", "b", 8),
     ]
-    return spark.createDataFrame([(*r, 1, "k", 2, 3, 4) for r in rows], DOCS)
+    return spark.createDataFrame([(*r, *range(len(CLASHES))) for r in rows], DOCS)
 
 
 def no_docs(spark):
@@ -141,12 +142,24 @@ def test_decontamination_edges(spark):
     for block in (1 << 20, 1):
         got = {(r["doc_id"], r["n_hit"], r["n_items"]) for r in decontaminate.find(edge_docs(spark), bench, block_chars=block).collect()}
         assert {(3, 3, 1), (None, 3, 0), (1, 0, 0), (4, 0, 0)} <= got
-    kept = decontaminate.drop_contaminated(edge_docs(spark), bench)
-    assert kept.columns == edge_docs(spark).columns and kept.count() == 7
+    for block in (1 << 20, 1):
+        kept = decontaminate.drop_contaminated(edge_docs(spark), bench, block_chars=block)
+        assert kept.columns == edge_docs(spark).columns and kept.count() == 7
+        assert all(tuple(r)[5:] == tuple(range(len(CLASHES))) for r in kept.collect())
+        assert decontaminate.drop_contaminated(no_docs(spark), bench, block_chars=block).count() == 0
     assert decontaminate.find(no_docs(spark), bench).count() == 0
     assert decontaminate.find(edge_docs(spark), bench.where("false")).where("contaminated").count() == 0
 
 
+def test_large_benchmark_is_joined(spark, sf):
+    docs, bench = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "benchmark"))
+    want = sorted(map(tuple, decontaminate.find(docs, bench).collect()))
+    joined = decontaminate.find(docs, bench, block_chars=1)
+    assert sorted(map(tuple, joined.collect())) == want and any(r[-1] for r in want)
+    plan = joined._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("documents") <= 3 and "CartesianProduct" not in plan
+
+
 def brute_components(rows):
     fp = {d: simhash.fingerprint(t) for d, t in rows}
     comp = {d: d for d in fp}
@@ -273,6 +286,10 @@ def test_mixing(spark, sf):
     joined = mixing.plan(docs).groupBy("source", "target").sum("taken").collect()
     biggest = max(r["size"] for r in rows)
     assert all(abs(r["target"] - r["sum(taken)"]) <= biggest for r in joined)
+    for rows_ in ([(1, "a b", "x")] * 7 + [(2, "a b c", "x")] * 3 + [(None, "d", "y")] * 5, [(k % 3, "w " * (k % 4), "x") for k in range(40)]):
+        some = spark.createDataFrame(rows_, "doc_id long, text string, source string")
+        planned, mixed = mixing.plan(some).agg({"copies": "sum", "taken": "sum"}).first(), [r["text"].split() for r in mixing.mix(some).collect()]
+        assert (len(mixed), sum(map(len, mixed))) == (planned["sum(copies)"], planned["sum(taken)"])
     mixed = mixing.mix(docs)
     assert mixed.count() == sum(r["copies"] for r in rows) and mixed.columns == docs.columns
     assert mixing.plan(edge_docs(spark)).count() == 10 and mixing.plan(no_docs(spark)).count() == 0
@@ -288,8 +305,26 @@ def test_capped_source_is_not_ranked(spark):
     assert [r["copies"] for r in got if r["source"] == "c"] == [1]
 
 
+def test_pipeline_stages_on_edges(spark):
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.001"
+    for docs in (edge_docs(spark), no_docs(spark)):
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, docs, sf)
+            rows = out.collect()
+            if name != "token_ids":
+                assert out.columns == docs.columns, name
+                assert all(tuple(r)[5:] == tuple(range(len(CLASHES))) for r in rows), name
+    near = corpus_pipeline.near_duplicates(spark, edge_docs(spark), sf).collect()
+    assert Counter(r["doc_id"] for r in near) == Counter([1, 3, 4, 5, 6, 8, None])
+    clean = corpus_pipeline.benchmark_decontamination(spark, edge_docs(spark), sf)
+    assert clean.count() == 10
+
+
 def test_pipeline(spark, sf):
     import corpus_pipeline
+    from alignspark.llm import near_copies
 
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     kept = {r["doc_id"]: r["text"] for r in docs.collect()}
@@ -306,10 +341,18 @@ def test_pipeline(spark, sf):
             verdict = {r["doc_id"]: r["kept"] for r in queries.op9_quality_rules(spark, sf).collect()}
             assert got == Counter(d for d in kept if verdict[d])
         elif name == "near_duplicates":
-            assert got == Counter(c for c in {c for _, _, c in brute_components([(r["doc_id"], r["text"]) for r in before.collect()])})
+            # families by brute force: five-word shingles, a similarity of 0.8 or more; the least doc_id of each stays
+            sets = {r["doc_id"]: set(near_copies.shingles(r["text"]).tolist()) for r in before.collect()}
+            family = {d: d for d in sets}
+            linked = [(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) - 1e-9]
+            for _ in linked:
+                for a, b in linked:
+                    family[a] = family[b] = min(family[a], family[b])
+            assert got == Counter(set(family.values()))
         elif name == "benchmark_decontamination":
-            clean = [r["doc_id"] for r in before.collect() if not any(w in bench for w in decontaminate.windows_of(decontaminate.words_of(r["text"])))]
-            assert set(clean) >= set(got)
+            short = {w for w in bench if len(w) < 10}
+            hit = lambda t: any(w in bench for w in decontaminate.windows_of(decontaminate.words_of(t))) or any(w in short for n in {len(x) for x in short} for w in decontaminate.windows_of(decontaminate.words_of(t), n))
+            assert got == Counter(r["doc_id"] for r in before.collect() if not hit(r["text"]))
         else:
             copies = {r["doc_id"]: r["copies"] for r in mixing.plan(before).collect()}
             assert got == Counter({d: c for d, c in copies.items() if c})
