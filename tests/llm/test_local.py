@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from alignspark.llm import decontaminate, html_template, langid, quality, simhash, suffix_dedup, textscore, token_coder
+from alignspark.llm import decontaminate, html_template, langid, near_copies, quality, simhash, suffix_dedup, textscore, token_coder
 from alignspark.llm.url_filter import BlockedBloom
 
 
@@ -239,3 +239,15 @@ def test_bloom_has_no_false_negatives():
     bloom = BlockedBloom(words)
     assert not bloom.may_hold(np.array([1, -5]), np.array([3, 4])).any()
     assert BlockedBloom.blocks_for(0) == 1 and zlib.crc32(b"") == 0
+
+
+def test_bitmaps_never_rule_out_similar_sets():
+    rnd = np.random.default_rng(6)
+    for n in (1, 3, 40, 700):
+        for _ in range(60):
+            a = np.unique(rnd.integers(0, 1 << 63, n).astype(np.uint64))
+            b = np.unique(np.concatenate([a[rnd.random(len(a)) < rnd.choice([0.5, 0.85, 0.95])], rnd.integers(0, 1 << 63, rnd.integers(0, n // 6 + 1)).astype(np.uint64)]))
+            if near_copies.similar(a, b, 0.8):
+                assert near_copies.may_be_similar(near_copies.bitmap(a), near_copies.bitmap(b), len(a), len(b), 0.8)
+    a, b = (rnd.integers(0, 1 << 63, 430).astype(np.uint64) for _ in range(2))
+    assert not near_copies.may_be_similar(near_copies.bitmap(a), near_copies.bitmap(b), 430, 430, 0.8)
