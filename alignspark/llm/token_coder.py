@@ -20,7 +20,7 @@ import zlib
 
 import numpy as np
 
-BLOCK, MOST_LANES, MOST_ID = 2048, 4096, 0xFFFFFFFF
+BLOCK, MOST_LANES, MOST_ID = 2048, 2048, 0xFFFFFFFF
 SLOTS, SCALE = 1024, 11
 LEAST, WIDEST = 1 << 32, 1 << 48
 _HASH1, _HASH2 = np.uint32(0x9E3779B1), np.uint32(0x85EBCA6B)
@@ -122,19 +122,25 @@ class _Encoder(_Lanes):
         """ids: a column a lane, each as long as its length says. plain: digits of an id that follows an escape."""
         k = ids.shape[1]
         super().__init__(k, plain)
-        self.ids, self.low = ids.astype(self.whole), np.zeros(k, np.int64)
+        self.ids, self.low = ids.astype(self.whole, copy=False), np.zeros(k, np.int64)
         room = (plain + 2) * len(ids) + 8
         self.out, self.first = np.zeros(k * room, np.uint32), self.lane * room
         self.next = self.first.copy()
-        rows = np.ascontiguousarray(ids.T)
-        order, held = _by_lane(rows, lengths)
-        value = np.take_along_axis(rows, order, 1)
-        new = np.ones(rows.shape, bool)
-        new[:, 1:] = value[:, 1:] != value[:, :-1]
-        number = np.cumsum(new.ravel()).reshape(rows.shape) - 1
-        kind = np.empty(rows.shape, np.int32)
-        np.put_along_axis(kind, order, number.astype(np.int32), 1)
-        self.kind_lane, self.kind, self.seen_len = np.repeat(self.lane, new.sum(1)), np.ascontiguousarray(kind.T), lengths
+        # number of each id among all that come in its lane; some lanes at a time, to hold less at once
+        self.kind, self.seen_len, kinds, known = np.empty(ids.shape, np.int32), lengths, [], 0
+        for a in range(0, k, 256):
+            rows = np.ascontiguousarray(ids[:, a : a + 256].T)
+            order, _ = _by_lane(rows, lengths[a : a + 256])
+            value = np.take_along_axis(rows, order, 1)
+            new = np.ones(rows.shape, bool)
+            new[:, 1:] = value[:, 1:] != value[:, :-1]
+            number = (np.cumsum(new.ravel(), dtype=np.int32) + (known - 1)).reshape(rows.shape)
+            kind = np.empty(rows.shape, np.int32)
+            np.put_along_axis(kind, order, number, 1)
+            self.kind[:, a : a + 256] = kind.T
+            kinds.append(new.sum(1))
+            known += int(kinds[-1].sum())
+        self.kind_lane = np.repeat(self.lane, np.concatenate(kinds))
 
     def look_back(self, t: int) -> None:
         """Order-0 frequencies from the first t ids."""
@@ -295,7 +301,7 @@ def encode_blocks(blocks: list[np.ndarray], plain: int = 1) -> list[bytes]:
     order = sorted(range(len(blocks)), key=lambda i: -len(blocks[i]))
     for mine in _groups(order):
         lengths = np.array([len(blocks[i]) for i in mine])
-        ids = np.zeros((lengths.max(initial=0), len(mine)), np.uint32)
+        ids = np.zeros((lengths.max(initial=0), len(mine)), np.int32 if plain == 1 else np.int64)
         for lane, i in enumerate(mine):
             ids[: lengths[lane], lane] = blocks[i]
         coder = _Encoder(ids, lengths, plain)

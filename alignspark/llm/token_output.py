@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import Words, new_path, parts_for, tidy
 from .token_coder import pack, unpack
 
-END_ID, SEGMENT_IDS, MAX_CHUNKS_KEPT = 2, 1 << 23, 400_000
+END_ID, SEGMENT_IDS, MAX_CHUNKS_KEPT = 2, 1 << 22, 250_000
 SEGMENT = "shard int, segment int, n_ids long, doc_ids binary, no_id binary, lengths binary, data binary"
 
 
@@ -60,9 +60,9 @@ class CachedTokenizer:
         self.chunks, self.words = Words(), {}
         self.size, self.start, self.flat, self.used = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(4096, np.uint32), 0
 
-    def _word(self, word: str) -> list[int]:
+    def _word(self, word: str) -> tuple[int, ...]:
         shown = word if word.isascii() else word.encode().decode("latin-1").translate(self.letter)
-        ids = self.words[word] = [t.id for t in self.tokenizer.model.tokenize(shown)]
+        ids = self.words[word] = tuple(t.id for t in self.tokenizer.model.tokenize(shown))
         return ids
 
     def _learn(self, new: list[str]) -> None:
