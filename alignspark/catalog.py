@@ -65,7 +65,7 @@ SEQUENCES: dict[str, tuple[str, Query]] = {
     "t4": (_seq("lineitem", "l_suppkey // 5", "l_suppkey", _case("l_returnflag || l_linestatus", {"AF": "A", "AO": "C", "RF": "G", "RO": "T"}), "l_shipdate, l_orderkey, l_linenumber, l_partkey, l_extendedprice"), T.lineitem),
     "t7": (_seq("conversations", "conv_id // 10", "conv_id", "substr(role, 1, 1)", "turn"), T.conversations),
     "t10": (_seq("customer", "c_nationkey // 5", "c_nationkey", "substr(c_mktsegment, 1, 1)", "c_custkey"), T.segments),
-    "t5": (f"SELECT 'documents' AS family, doc_id AS seq_id, {_FOLD.format('substr(text, 1, 1500)')} AS seq, CAST(length({_FOLD.format('substr(text, 1, 1500)')}) AS INT) AS len FROM documents", T.documents),
+    "t5": (f"SELECT 'documents' AS family, doc_id AS seq_id, {_FOLD.format('text')} AS seq, CAST(length({_FOLD.format('text')}) AS INT) AS len FROM documents", T.documents),
     "t6": (f"SELECT CAST(item_id AS VARCHAR) AS family, CAST(0 AS BIGINT) AS seq_id, {_FOLD.format('text')} AS seq, CAST(length({_FOLD.format('text')}) AS INT) AS len FROM benchmark", T.benchmark),
     "t8": ("SELECT CAST(label AS VARCHAR) AS family, CAST(vec_id AS BIGINT) AS seq_id, array_to_string(list_transform(embedding, lambda v: CASE WHEN v::DOUBLE < -0.1::DOUBLE THEN 'A' WHEN v < 0 THEN 'C' WHEN v::DOUBLE < 0.1::DOUBLE THEN 'G' ELSE 'T' END), '') AS seq, 64 AS len FROM embeddings", T.embeddings),
     "t9": ("SELECT regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) AS family, CAST(page_id AS BIGINT) AS seq_id, regexp_extract_all(html, '<([a-z][a-z0-9]*)', 1) AS tokens FROM pages", T.page_tags),
@@ -184,10 +184,34 @@ scored AS (SELECT family, i, j, a, b, CAST(v[len(v)] AS BIGINT) AS score FROM dp
 """
 
 
+def path_sql(pairs: str, s: Scoring) -> str:
+    """Matches and all letter pairs on the path that ties settle as diagonal, up, left, carried from row to row.
+
+    c: best value of a cell that isn't reached from the left, less the gaps to its column; f: column of the nearest such
+    cell to the left or here, whose counts a cell takes.
+    """
+    m, x, g = int(s.match), int(s.mismatch), int(s.gap)
+    step = "CASE WHEN k = 1 OR f[k] = 1 THEN 0 WHEN v[f[k] - 1] + CASE WHEN substr(b, f[k] - 1, 1) = substr(a, r + 1, 1) THEN {m} ELSE {x} END = c[f[k]] + (f[k] - 1) * {g} THEN {old}[f[k] - 1] + {more} ELSE {old}[f[k]] END"
+    same = step.format(m=m, x=x, g=g, old="same", more="CASE WHEN substr(b, f[k] - 1, 1) = substr(a, r + 1, 1) THEN 1 ELSE 0 END")
+    both = step.format(m=m, x=x, g=g, old="\"both\"", more="1")
+    return f"""WITH RECURSIVE pairs AS ({pairs}),
+dp AS (
+  SELECT family, i, j, a, b, 0 AS r, list_transform(range(0, length(b) + 1), lambda k: k * {g}) AS v, list_transform(range(0, length(b) + 1), lambda k: 0) AS same, list_transform(range(0, length(b) + 1), lambda k: 0) AS "both" FROM pairs
+  UNION ALL
+  SELECT family, i, j, a, b, r + 1, list_transform(range(1, len(c) + 1), lambda k: list_max(c[1:k]) + (k - 1) * {g}), list_transform(range(1, len(c) + 1), lambda k: {same}), list_transform(range(1, len(c) + 1), lambda k: {both})
+  FROM (SELECT *, list_transform(range(1, len(c) + 1), lambda k: list_max(list_filter(range(1, k + 1), lambda q: c[q] = list_max(c[1:q])))) AS f
+    FROM (SELECT *, list_transform(range(1, length(b) + 2), lambda k: CASE WHEN k = 1 THEN (r + 1) * {g}
+        ELSE greatest(v[k - 1] + CASE WHEN substr(b, k - 1, 1) = substr(a, r + 1, 1) THEN {m} ELSE {x} END, v[k] + {g}) - (k - 1) * {g} END) AS c
+      FROM dp WHERE r < length(a)))),
+counted AS (SELECT family, i, j, CAST(same[len(same)] AS DOUBLE) AS same, CAST("both"[len("both")] - same[len(same)] AS DOUBLE) AS other, CAST(length(a) + length(b) - 2 * "both"[len("both")] AS DOUBLE) AS gaps FROM dp WHERE r = length(a))
+"""
+
+
 def _worked(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([("worked", "ATGCG", "TGCAT")], "family string, a string, b string")
 
 
+#: The score table of the worked example.
 _FIG = [[0, -1, -2, -3, -4, -5], [-1, 1, 0, -1, 0, -1], [-2, 2, 2, 1, 0, 3], [-3, 1, 5, 4, 3, 2], [-4, 0, 4, 8, 7, 6], [-5, -1, 3, 7, 9, 8]]
 
 
@@ -286,8 +310,13 @@ def dist_kmer(spark, d):
     return D.pairwise_distances(T.events(spark, d), "kmer").withColumn("distance", r6("distance"))
 
 
-for _name, _metric in (("dist_mismatch_gap", "mismatch_gap"), ("dist_p", "p_distance"), ("dist_jc", "jc_corrected")):
-    query(None, _name)(lambda s, d, m=_metric: D.pairwise_distances(T.events(s, d), m).withColumn("distance", r6("distance")))
+_P = "CASE WHEN same + other > 0 THEN other / (same + other) ELSE 0 END"
+for _name, _metric, _formula in (
+    ("dist_mismatch_gap", "mismatch_gap", "CASE WHEN same + other + gaps > 0 THEN (other + gaps) / (same + other + gaps) ELSE 0 END"),
+    ("dist_p", "p_distance", _P),
+    ("dist_jc", "jc_corrected", f"-0.75::DOUBLE * ln(greatest(1 - 4 * ({_P}) / 3.0::DOUBLE, 1e-6))"),
+):
+    query(path_sql(_PAIRS.format("t2"), EXPERIMENT) + f"SELECT family, i, j, round(CAST({_formula} AS DOUBLE), 6) + 0.0::DOUBLE AS distance FROM counted", _name)(lambda s, d, m=_metric: D.pairwise_distances(T.events(s, d), m).withColumn("distance", r6("distance")))
 
 _DIST = f"SELECT family, i, j, CAST(levenshtein(a, b) AS DOUBLE) AS d FROM ({_PAIRS.format('t2')})"
 _BOTH = f"WITH e AS ({_DIST}), b AS (SELECT * FROM e UNION ALL SELECT family, j AS i, i AS j, d FROM e)"
@@ -323,7 +352,7 @@ def dist_nearest_k(spark, d):
     return D.nearest(edits(spark, d), 2)
 
 
-@query()
+@query(f"{_BOTH}, v AS (SELECT b.family, CAST(count(*) FILTER (WHERE b.d > x.d + y.d + 1e-9) AS BIGINT) AS violations FROM b JOIN b x ON x.family = b.family AND x.i = b.i JOIN b y ON y.family = b.family AND y.i = x.j AND y.j = b.j WHERE x.j <> b.i AND x.j <> b.j GROUP BY 1) SELECT e.family, count(*) AS pairs, CAST(count(*) FILTER (WHERE d < 0) AS BIGINT) AS negative, coalesce(max(v.violations), 0) AS violations FROM e LEFT JOIN v USING (family) GROUP BY e.family")
 def dist_check_metric(spark, d):
     return D.check_metric(edits(spark, d))
 
@@ -336,7 +365,7 @@ def dist_local_plan(spark, d):
 # ---- guide trees ----
 
 
-def tree_sql(method: str, key: str, n: int) -> str:
+def tree_sql(method: str, key: str, n: int, rounded: bool = True) -> str:
     """A set of expressions for each join; families of fewer than n sequences are done sooner."""
     nj = method == "neighbor_joining"
     parts = [
@@ -357,6 +386,8 @@ def tree_sql(method: str, key: str, n: int) -> str:
         parts.append(f"z{s + 1} AS (SELECT * FROM z{s} UNION ALL SELECT family, node, size, high FROM j{s})")
         parts.append(f"l{s + 1} AS (SELECT l.family, l.i, l.j, l.d FROM l{s} l JOIN p{s} p ON p.family = l.family WHERE l.i NOT IN (p.i, p.j) AND l.j NOT IN (p.i, p.j) UNION ALL SELECT b.family, b.j AS i, max(j.node) AS j, {new} AS d FROM b{s} b JOIN p{s} p ON p.family = b.family AND b.i IN (p.i, p.j) AND b.j NOT IN (p.i, p.j) JOIN j{s} j ON j.family = b.family JOIN z{s} z ON z.family = b.family AND z.node = b.i GROUP BY b.family, b.j)")
     every = " UNION ALL ".join(f"SELECT * FROM j{s}" for s in range(n - 1))
+    if not rounded:
+        return f"WITH {', '.join(parts)} SELECT family, step, l, r, node, left_len, right_len FROM ({every})"
     return f"WITH {', '.join(parts)} SELECT family, step, CAST(l AS INT) AS l, CAST(r AS INT) AS r, CAST(node AS INT) AS node, round(left_len, 6) + 0.0::DOUBLE AS left_len, round(right_len, 6) + 0.0::DOUBLE AS right_len, round(height, 6) + 0.0::DOUBLE AS height FROM ({every})"
 
 
@@ -370,7 +401,7 @@ query(tree_sql("neighbor_joining", "t2", 5), "nj_tree_relational")(lambda s, d:
 for _l in K.LINKAGES:
     query(tree_sql(_l, "t2", 5), f"agg_tree_{_l}")(lambda s, d, k=_l: joins_of(G.agglomerative(edits(s, d), k)))
 query(tree_sql("average", "t10", 5), "agg_tree_relational")(lambda s, d: joins_of(G.agglomerative(edits(s, d, "t10"), "average", impl="relational")))
-query(None, "agg_tree_chain")(lambda s, d: joins_of(G.agglomerative(edits(s, d), "average", search="chain")))
+query(tree_sql("average", "t2", 5), "agg_tree_chain")(lambda s, d: joins_of(G.agglomerative(edits(s, d), "average", search="chain")))
 
 ADDITIVE = [(0, 1, 5), (0, 2, 3), (0, 3, 6), (1, 2, 6), (1, 3, 9), (2, 3, 5)]
 ULTRAMETRIC = [(0, 1, 2), (2, 3, 4), (0, 2, 8), (0, 3, 8), (1, 2, 8), (1, 3, 8)]
@@ -418,14 +449,32 @@ def nj_reduce(spark, d):
     return G.nj_reduce(edits(spark, d))
 
 
+def below_sql(method: str, key: str = "t2") -> str:
+    """jj: joins; names: ids of leaves; below: the leaves under each node, how far down, and by which turns."""
+    return f"""WITH RECURSIVE jj AS ({tree_sql(method, key, 5, rounded=False)}),
+names AS (SELECT family, seq_id, row_number() OVER (PARTITION BY family ORDER BY seq_id) - 1 AS leaf, count(*) OVER (PARTITION BY family) AS n FROM {key}),
+kids AS (SELECT family, node, l AS kid, left_len AS far, '0' AS turn FROM jj UNION ALL SELECT family, node, r, right_len, '1' FROM jj),
+below AS (SELECT family, leaf AS node, leaf, CAST(0 AS DOUBLE) AS far, '' AS turns FROM names
+  UNION ALL SELECT b.family, k.node, b.leaf, b.far + k.far, k.turn || b.turns FROM below b JOIN kids k ON k.family = b.family AND k.kid = b.node)
+"""
+
+
+# topology and path lengths are those of the unrooted tree, so the SQL may root where it likes
+query(below_sql("neighbor_joining") + """, sides AS (SELECT b.family, b.node, max(n.n) AS n, bool_or(b.leaf = 0) AS has0, list(b.leaf) AS inside FROM below b JOIN names n ON n.family = b.family AND n.leaf = b.leaf GROUP BY 1, 2),
+s AS (SELECT DISTINCT family, n, list_sort(CASE WHEN has0 THEN list_filter(range(0, n), lambda x: NOT list_contains(inside, x)) ELSE inside END) AS side FROM sides),
+u AS (SELECT family, n, side, unnest(side) AS leaf FROM s WHERE len(side) > 1 AND len(side) < n - 1)
+SELECT u.family, string_agg(CAST(names.seq_id AS VARCHAR), ',' ORDER BY names.leaf) AS split FROM u JOIN names ON names.family = u.family AND names.leaf = u.leaf GROUP BY u.family, u.side""", "tree_splits")(lambda s, d: G.splits(G.neighbor_joining(edits(s, d))))
+query(below_sql("neighbor_joining") + """SELECT j.family, least(x.seq_id, y.seq_id) AS i, greatest(x.seq_id, y.seq_id) AS j, round(a.far + j.left_len + b.far + j.right_len, 6) + 0.0::DOUBLE AS distance
+FROM jj j JOIN below a ON a.family = j.family AND a.node = j.l JOIN below b ON b.family = j.family AND b.node = j.r JOIN names x ON x.family = j.family AND x.leaf = a.leaf JOIN names y ON y.family = j.family AND y.leaf = b.leaf""", "tree_cophenetic")(lambda s, d: G.cophenetic(G.neighbor_joining(edits(s, d))).withColumn("distance", r6("distance")))
+query(below_sql("average") + """, root AS (SELECT family, max(node) AS node FROM jj GROUP BY 1)
+SELECT b.family, CAST(row_number() OVER (PARTITION BY b.family ORDER BY b.turns) - 1 AS INT) AS place, n.seq_id FROM below b JOIN root ON root.family = b.family AND root.node = b.node JOIN names n ON n.family = b.family AND n.leaf = b.leaf""", "tree_leaf_order")(lambda s, d: G.leaf_order(G.agglomerative(edits(s, d))))
+query(below_sql("average") + "SELECT family, CAST(node AS INT) AS node, CAST(max(length(turns)) AS INT) AS level FROM below GROUP BY 1, 2 HAVING max(length(turns)) > 0", "tree_levels_average")(lambda s, d: G.levels(G.agglomerative(edits(s, d))))
+query("WITH n AS (SELECT family, count(*) AS n FROM t2 GROUP BY 1 HAVING count(*) > 1), k AS (SELECT family, n, unnest(range(0, n - 1)) AS step FROM n) SELECT family, CAST(step AS INT) AS step, CAST(CASE WHEN step = 0 THEN 0 ELSE n + step - 1 END AS INT) AS l, CAST(step + 1 AS INT) AS r, CAST(n + step AS INT) AS node, 0.0::DOUBLE AS left_len, 0.0::DOUBLE AS right_len, CAST(step + 1 AS DOUBLE) AS height FROM k", "tree_caterpillar")(lambda s, d: joins_of(G.caterpillar(edits(s, d))))
 query(None, "tree_newick")(lambda s, d: G.newick(G.neighbor_joining(edits(s, d))))
-query(None, "tree_splits")(lambda s, d: G.splits(G.neighbor_joining(edits(s, d))))
 query(None, "tree_levels")(lambda s, d: G.levels(G.neighbor_joining(edits(s, d))))
-query(None, "tree_cophenetic")(lambda s, d: G.cophenetic(G.neighbor_joining(edits(s, d))).withColumn("distance", r6("distance")))
 query(None, "tree_midpoint")(lambda s, d: joins_of(G.rerooted(G.neighbor_joining(edits(s, d), root="last"))))
-query(None, "tree_leaf_order")(lambda s, d: G.leaf_order(G.agglomerative(edits(s, d))))
 query(None, "tree_compact")(lambda s, d: G.compact(G.agglomerative(edits(s, d))).select("family", F.size("merges").alias("joins"), F.to_json("merges").alias("merges")))
-for _n, _f in (("tree_caterpillar", G.caterpillar), ("tree_random", G.random_tree), ("tree_star", G.star)):
+for _n, _f in (("tree_random", G.random_tree), ("tree_star", G.star)):
     query(None, _n)(lambda s, d, f=_f: joins_of(f(edits(s, d))))
 
 
@@ -604,7 +653,16 @@ query(None, "align_lineitem")(lambda s, d: A.align(T.lineitem(s, d), **A.setup(2
 query(None, "align_with_tree")(lambda s, d: A.align(T.events(s, d), G.neighbor_joining(edits(s, d))))
 query(None, "align_tokens")(lambda s, d: A.align(T.tokens_to_sequences(T.page_tags(s, d)), "agglomerative", metric="edit", collapse_equal=True).select("family", "seq_id", F.length("aligned").alias("width")))
 query("SELECT family, seq_id, seq FROM t2", "align_gap_invariant")(lambda s, d: A.align(T.events(s, d)).select("family", "seq_id", C.strip_gaps(F.col("aligned")).alias("seq")))
-query("SELECT family, CAST(count(*) AS BIGINT) AS rows FROM t2 GROUP BY 1", "align_representatives")(lambda s, d: giant.align_by_representatives(T.events(s, d)).groupBy("family").agg(F.count("*").alias("rows")))
+
+def stripped(rows: DataFrame) -> DataFrame:
+    """family, seq_id, seq (the row without its gaps), widths (different widths of the family's rows)."""
+    width = rows.groupBy("family").agg(F.countDistinct(F.length("aligned")).alias("widths"))
+    return rows.join(width, "family").select("family", "seq_id", C.strip_gaps(F.col("aligned")).alias("seq"), "widths")
+
+
+_STRIPPED = "SELECT family, seq_id, seq, CAST(1 AS BIGINT) AS widths FROM t2"
+query(_STRIPPED, "align_representatives")(lambda s, d: stripped(giant.align_by_representatives(T.events(s, d))))
+query(_STRIPPED, "align_dispatched")(lambda s, d: stripped(A.align(T.events(s, d), limit=3)))
 query(None, "compare_setups")(lambda s, d: A.compare(T.events(s, d)).drop("secs"))
 query(None, "compare_orders")(lambda s, d: A.compare(T.orders(s, d), seeds=(0,)).drop("secs"))
 query(None, "compare_segments")(lambda s, d: A.compare(T.segments(s, d)).drop("secs"))

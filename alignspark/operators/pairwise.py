@@ -89,12 +89,14 @@ def all_optimal(df: DataFrame, scoring: Scoring, limit: int) -> DataFrame:
 def pairs(seqs: DataFrame, plan: str = "auto", block: int = 1000) -> DataFrame:
     """family, i, j, a, b for i < j in each family.
 
-    auto and shuffle: an equi-join on family with i < j left over. blocked: for giant families; sequences get a block
-    number, each pair of blocks is one key, and a sequence is sent to the keys of its block only, so no task holds more
+    shuffle: an equi-join on family with i < j left over. auto: that, or blocked if a count finds a family of more than
+    `block` sequences. blocked: for giant families; sequences get a block number, each pair of blocks is one key, and a sequence is sent to the keys of its block only, so no task holds more
     than two blocks of a family.
     """
     a = seqs.select("family", F.col("seq_id").alias("i"), F.col("seq").alias("a"))
     b = seqs.select("family", F.col("seq_id").alias("j"), F.col("seq").alias("b"))
+    if plan == "auto" and seqs.groupBy("family").agg(F.count("*").alias("n")).where(F.col("n") > block).limit(1).count():
+        plan = "blocked"
     if plan != "blocked":
         joined = a.join(b if plan == "auto" else b.hint("shuffle_hash"), "family").where("i < j")
         return joined.select("family", "i", "j", "a", "b")

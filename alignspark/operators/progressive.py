@@ -1,7 +1,8 @@
 """Progressive alignment of families: encode, distances, tree, merges in tree order, cost.
 
 A family of ordinary size is one task from distances to rows; sequences reach it by one shuffle on family. Options are
-those of kernels.Options. Families of one return themselves; two are aligned directly. Giant families: plans.giant.
+those of kernels.Options. Families of one return themselves; two are aligned directly. Giant families are counted out first
+and go to plans.giant; compare() is for families that fit a task.
 """
 
 from __future__ import annotations
@@ -14,6 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.scoring import Scoring
+from ..plans.shared import cut
 from ..schemas import ALIGNED, RESULTS
 from . import kernels as K
 from .guidetree import tree_of
@@ -41,13 +43,39 @@ def _rows(table: pa.Table) -> tuple[str, list[int], list[str]]:
     return table.column("family")[0].as_py(), [i for i, _ in rows], [s or "" for _, s in rows]
 
 
-def align(seqs: DataFrame, tree: str | DataFrame = "neighbor_joining", scoring: Scoring | None = None, metric: str = "mismatch_gap", linkage: str = "average", root: str = "midpoint", collapse_equal: bool = False, **options) -> DataFrame:
+def _giants(slim: DataFrame, limit: int) -> DataFrame | None:
+    """Families of more than `limit` sequences, if there are any; found by a count before any matrix is made."""
+    big = slim.groupBy("family").agg(F.count("*").alias("n")).where(F.col("n") > limit).select("family")
+    big = cut(big, "giants")
+    return big if big.limit(1).count() else None
+
+
+def align(seqs: DataFrame, tree: str | DataFrame = "neighbor_joining", scoring: Scoring | None = None, metric: str = "mismatch_gap", linkage: str = "average", root: str = "midpoint", collapse_equal: bool = False, limit: int = LOCAL_LIMIT, **options) -> DataFrame:
     """family, seq_id, aligned. tree: a method's name, or merges whose ids are the sequences'.
 
     collapse_equal: equal sequences of a family are aligned once and share the row (changes the tree a little).
+    limit: families of more sequences go to plans.giant.align_by_representatives, which calls this for its groups; there
+    equal sequences share a row, so that no group can be all of one sequence. Merges given as a table are followed as
+    they are, each family in one task.
     """
     o = K.Options(scoring=scoring or Scoring.experiment(), **options)
     slim, method = seqs.select("family", "seq_id", "seq"), tree if isinstance(tree, str) else "neighbor_joining"
+    if isinstance(tree, str) and (big := _giants(slim, limit)) is not None:
+        from ..plans.giant import align_by_representatives
+
+        rest = align(slim.join(big, "family", "left_anti"), tree, o.scoring, metric, linkage, root, collapse_equal, limit=1 << 62, **options)
+        many = slim.join(big, "family", "left_semi")
+        texts = cut(many.groupBy("family", "seq").agg(F.min("seq_id").alias("first")), "texts")
+        few = texts.select("family", F.col("first").alias("seq_id"), "seq")
+        over = _giants(few, limit)
+        if over is None:
+            rows = align(few, tree, o.scoring, metric, linkage, root, limit=1 << 62, **options)
+        else:
+            rows = align(few.join(over, "family", "left_anti"), tree, o.scoring, metric, linkage, root, limit=1 << 62, **options)
+            rows = rows.unionByName(align_by_representatives(few.join(over, "family", "left_semi"), metric=metric, tree=tree, scoring=o.scoring, limit=limit, **options))
+        rows = rows.select("family", F.col("seq_id").alias("first"), "aligned")
+        back = many.join(texts, ["family", "seq"]).join(rows, ["family", "first"]).select("family", "seq_id", "aligned")
+        return rest.unionByName(back)
 
     def aligned(family: str, ids: list[int], strings: list[str], merges: list[dict] | None) -> pa.Table:
         some = sorted(set(strings), key=strings.index) if collapse_equal else strings

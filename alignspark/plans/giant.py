@@ -75,12 +75,13 @@ def relational_tree(dist: DataFrame, method: str) -> DataFrame:
     return joins.join(ids, "family")
 
 
-def align_by_representatives(seqs: DataFrame, share: float = 0.5, metric: str = "edit", tree: str = "neighbor_joining", scoring: Scoring | None = None, **options) -> DataFrame:
+def align_by_representatives(seqs: DataFrame, share: float = 0.5, metric: str = "edit", tree: str = "neighbor_joining", scoring: Scoring | None = None, limit: int = 2000, **options) -> DataFrame:
     """family, seq_id, aligned of families too large for one task.
 
     About n ** share sequences of a family, by a hash of the id, stand for it; each other sequence joins the nearest of
     them, the groups are aligned each in its task, and the groups' profiles (not their rows) are merged in the order of a
-    tree over the representatives. Rows then take up the new gaps where they are.
+    tree over the representatives. Rows then take up the new gaps where they are. A group of more than `limit` sequences
+    is a giant family itself.
     """
     from ..operators import progressive
     from ..operators.distance import pairwise_distances
@@ -93,7 +94,7 @@ def align_by_representatives(seqs: DataFrame, share: float = 0.5, metric: str =
     near = seqs.select("family", "seq_id", "seq").join(few, "family").withColumn("d", F.levenshtein("seq", "rep_seq"))
     group = near.groupBy("family", "seq_id").agg(F.min(F.struct("d", "rep")).alias("m"), F.first("seq").alias("seq")).select("family", "seq_id", "seq", F.col("m.rep").alias("rep"))
     group = cut(group, "groups")
-    inner = progressive.align(group.select(F.concat_ws("|", "rep", "family").alias("family"), "seq_id", "seq"), tree, s, metric, **options)
+    inner = progressive.align(group.select(F.concat_ws("|", "rep", "family").alias("family"), "seq_id", "seq"), tree, s, metric, limit=limit, **options)
     inner = cut(inner.select(F.substring_index("family", "|", 1).cast("bigint").alias("rep"), F.expr("substring(family, instr(family, '|') + 1)").alias("family"), "seq_id", "aligned"), "inner")
     counts = inner.select("family", "rep", F.posexplode(F.split("aligned", "")).alias("pos", "symbol")).where("symbol <> ''").groupBy("family", "rep", "pos", "symbol").agg(F.count("*").alias("c"))
     dist = pairwise_distances(few.select("family", F.col("rep").alias("seq_id"), F.col("rep_seq").alias("seq")), metric, s)
