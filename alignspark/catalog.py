@@ -706,6 +706,75 @@ def exact_three_bounds(spark, d):
     return x.agg(F.min((F.col("greedy") <= F.col("score")) & (F.col("score") <= F.col("bound"))).alias("holds"))
 
 
+# ---- experiments by size, choice and scale ----
+
+
+@query()
+def cost_by_size(spark, d):
+    """Score and cost of both methods and both roots on short, medium, long and grown sets, under equal settings."""
+    sets = {"short": T.orders(spark, d), "medium": T.events(spark, d), "long": T.lineitem(spark, d), **{shape: workloads.grown(spark, d, shape) for shape in workloads.SHAPES}}
+    one = None
+    for name, seqs in sets.items():
+        named = seqs.select(F.concat(F.lit(f"{name}/"), "family").alias("family"), "seq_id", "seq")
+        one = named if one is None else one.unionByName(named)
+    of = F.substring_index("family", "/", 1).alias("set")
+    return A.compare(one, seeds=(0,)).groupBy(of, "method", "root").agg(F.count("*").alias("families"), F.avg("score").alias("mean_score"), F.avg("cost").alias("mean_cost"), F.stddev("cost").alias("sd_cost"), F.avg("width").alias("mean_width"))
+
+
+@query()
+def sensitivity_grid(spark, d):
+    """Mean cost and score of each method and root on grown families, by distance measure and tie rule."""
+    out, g = None, cut(_grown(spark, d, "uneven"), "grown")
+    for metric in ("mismatch_gap", "edit", "kmer", "score_normalised"):
+        for tie in ("first", "last", "partner"):
+            one = A.compare(g, seeds=(0,), metric=metric, tie=tie).groupBy("method", "root").agg(F.count("*").alias("families"), F.avg("score").alias("mean_score"), F.avg("cost").alias("mean_cost"))
+            one = one.select(F.lit(metric).alias("metric"), F.lit(tie).alias("tie"), "*")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def sensitivity_topology(spark, d):
+    """Mean distance from the true tree, by shape, distance measure and method."""
+    out = None
+    for shape in workloads.SHAPES:
+        g = cut(_grown(spark, d, shape), "grown")
+        truth = workloads.true_merges(g, shape)
+        for metric in ("mismatch_gap", "edit", "kmer", "score_normalised", "jc_corrected"):
+            dist = cut(D.pairwise_distances(g, metric), "distances")
+            for name, tree in (("neighbor_joining", G.neighbor_joining(dist)), ("average", G.agglomerative(dist)), ("single", G.agglomerative(dist, "single"))):
+                one = G.robinson_foulds(tree, truth).agg(F.avg("rf").alias("mean_rf"), F.avg((F.col("rf") == 0).cast("double")).alias("recovered"))
+                one = one.select(F.lit(shape).alias("shape"), F.lit(metric).alias("metric"), F.lit(name).alias("method"), "*")
+                out = one if out is None else out.unionByName(one)
+    return out
+
+
+SWEEP_N, SWEEP_LEN = (5, 10, 20, 40, 80), (32, 64, 128, 256)
+_SWEEP = "WITH x AS ({}), p AS (SELECT a.size, count(*) AS pairs, CAST(sum((length(a.seq) + 1) * (length(b.seq) + 1)) AS BIGINT) AS cells FROM x a JOIN x b ON a.size = b.size AND a.fam = b.fam AND a.seq_id < b.seq_id GROUP BY 1), f AS (SELECT size, count(DISTINCT fam) AS families, count(*) AS sequences FROM x GROUP BY 1) SELECT size, families, sequences, coalesce(pairs, 0) AS pairs, coalesce(cells, 0) AS cells FROM f LEFT JOIN p USING (size)"
+
+
+def _sweep(one: Callable[[int], DataFrame], sizes: tuple[int, ...]) -> DataFrame:
+    out = None
+    for n in sizes:
+        w = M.work(one(n)).agg(F.count("*").alias("families"), F.sum("sequences").alias("sequences"), F.sum("pairs").alias("pairs"), F.sum("cells").alias("cells")).select(F.lit(n).alias("size"), "*")
+        out = w if out is None else out.unionByName(w)
+    return out
+
+
+@query(_SWEEP.format(" UNION ALL ".join(f"SELECT CAST({n} AS INT) AS size, seq_id // {n} AS fam, seq_id, seq FROM t2" for n in SWEEP_N)))
+def sweep_family_size(spark, d):
+    """Families, pairs and table cells as families grow: pairs in proportion to n, cells with the square of the length."""
+    t = T.events(spark, d)
+    return _sweep(lambda n: t.withColumn("family", F.floor(F.col("seq_id") / n).cast("string")), SWEEP_N)
+
+
+@query(_SWEEP.format(" UNION ALL ".join(f"SELECT CAST({n} AS INT) AS size, family AS fam, seq_id, substr(seq, 1, {n}) AS seq FROM t4" for n in SWEEP_LEN)))
+def sweep_length(spark, d):
+    """The same as sequences are cut to one length after another: the sweep's own parameter."""
+    t = T.lineitem(spark, d)
+    return _sweep(lambda n: t.withColumn("seq", F.substring("seq", 1, n)), SWEEP_LEN)
+
+
 # ---- accuracy on families with a known tree ----
 
 

@@ -324,19 +324,22 @@ def banded_score(a: str, b: str, scoring: Scoring, start: int = 8) -> tuple[floa
     best = max(scoring.match, float(t.max()))
     while True:
         lo, hi = min(0, m - n) - band, max(0, m - n) + band
-        row = np.full(m + 1, LOW, float)
+        row, new = np.full((2, m + 1), LOW, float)  # only the band and its rim are touched from row to row
         row[: min(m, hi) + 1] = np.arange(min(m, hi) + 1) * scoring.gap
         for i in range(1, n + 1):
             j0, j1 = max(0, i + lo), min(m, i + hi)
-            new = np.full(m + 1, LOW, float)
             k0 = max(j0, 1)
+            if j0 > 0:
+                new[j0 - 1] = LOW
+            if j1 < m:
+                new[j1 + 1] = LOW
             if k0 <= j1:
                 new[k0 : j1 + 1] = np.maximum(row[k0 - 1 : j1] + t[x[i - 1], y[k0 - 1 : j1]], row[k0 : j1 + 1] + scoring.gap)
             if j0 == 0:
                 new[0] = i * scoring.gap
             steps = np.arange(j0, j1 + 1) * scoring.gap
             new[j0 : j1 + 1] = np.maximum.accumulate(new[j0 : j1 + 1] - steps) + steps
-            row = new
+            row, new = new, row
         gaps = abs(n - m) + 2 * (band + 1)
         if row[m] >= best * max(n + m - gaps, 0) / 2 + scoring.gap * gaps or band > n + m:
             return row[m].item(), band

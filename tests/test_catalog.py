@@ -80,6 +80,27 @@ def test_giant_family(spark):
     assert len({len(r["aligned"]) for r in rows}) == 1
 
 
+def test_large_families_are_dispatched(spark):
+    import random
+
+    rnd = random.Random(3)
+    texts = ["".join(rnd.choice("ACGT") for _ in range(rnd.randint(3, 12))) for _ in range(40)]
+    rows = [("big", k, texts[k % 40]) for k in range(150)] + [("copies", k, "ACGTA") for k in range(60)] + [("small", k, texts[k]) for k in range(5)]
+    seqs = spark.createDataFrame(rows, "family string, seq_id bigint, seq string")
+    made = progressive.align(seqs, limit=12).collect()
+    assert sorted((r["family"], r["seq_id"], r["aligned"].replace("_", "")) for r in made) == sorted(rows)
+    assert all(len({len(r["aligned"]) for r in made if r["family"] == f}) == 1 for f in ("big", "copies", "small"))
+    few = {(r["family"], r["seq_id"]): r["aligned"] for r in progressive.align(seqs.where("family = 'small'")).collect()}
+    assert few == {(r["family"], r["seq_id"]): r["aligned"] for r in made if r["family"] == "small"}
+
+
+def test_sweeps_and_costs_move_as_they_should(spark, sf):
+    rows = {r["size"]: r for r in catalog.QUERIES["sweep_family_size"](spark, sf).collect()}
+    assert rows[5]["pairs"] < rows[20]["pairs"] and rows[5]["sequences"] == rows[80]["sequences"]
+    cost = {(r["set"], r["method"], r["root"]): r for r in catalog.QUERIES["cost_by_size"](spark, sf).collect()}
+    assert {k[0] for k in cost} == {"short", "medium", "long", "clock", "uneven"} and len(cost) == 15
+
+
 def test_draws_are_the_same_in_spark(spark):
     from pyspark.sql import functions as F
 
