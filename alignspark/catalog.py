@@ -365,11 +365,11 @@ def dist_local_plan(spark, d):
 # ---- guide trees ----
 
 
-def tree_sql(method: str, key: str, n: int, rounded: bool = True) -> str:
+def tree_sql(method: str, key: str, n: int, rounded: bool = True, more: str = "") -> str:
     """A set of expressions for each join; families of fewer than n sequences are done sooner."""
     nj = method == "neighbor_joining"
     parts = [
-        f"e AS (SELECT family, i, j, CAST(levenshtein(a, b) AS DOUBLE) AS d FROM ({_PAIRS.format(key)}))",
+        f"e AS (SELECT family, i, j, CAST(levenshtein(a, b) AS DOUBLE){more} AS d FROM ({_PAIRS.format(key)}))",
         f"k AS (SELECT family, seq_id, row_number() OVER (PARTITION BY family ORDER BY seq_id) - 1 AS node, count(*) OVER (PARTITION BY family) AS n FROM {key})",
         "l0 AS (SELECT e.family, x.node AS i, y.node AS j, d FROM e JOIN k x ON x.family = e.family AND x.seq_id = e.i JOIN k y ON y.family = e.family AND y.seq_id = e.j)",
         "z0 AS (SELECT family, node, 1 AS size, CAST(0 AS DOUBLE) AS high FROM k)",
@@ -401,7 +401,10 @@ query(tree_sql("neighbor_joining", "t2", 5), "nj_tree_relational")(lambda s, d:
 for _l in K.LINKAGES:
     query(tree_sql(_l, "t2", 5), f"agg_tree_{_l}")(lambda s, d, k=_l: joins_of(G.agglomerative(edits(s, d), k)))
 query(tree_sql("average", "t10", 5), "agg_tree_relational")(lambda s, d: joins_of(G.agglomerative(edits(s, d, "t10"), "average", impl="relational")))
-query(tree_sql("average", "t2", 5), "agg_tree_chain")(lambda s, d: joins_of(G.agglomerative(edits(s, d), "average", search="chain")))
+# the chain may join tied pairs in another order, so ties are broken by a share of an edit
+query(tree_sql("average", "t2", 5, more=" + ((i * 7919 + j * 104729) % 97) / 100.0::DOUBLE"), "agg_tree_chain")(
+    lambda s, d: joins_of(G.agglomerative(edits(s, d).withColumn("distance", F.col("distance") + F.expr("((i * 7919 + j * 104729) % 97) / 100.0D")), "average", search="chain"))
+)
 
 ADDITIVE = [(0, 1, 5), (0, 2, 3), (0, 3, 6), (1, 2, 6), (1, 3, 9), (2, 3, 5)]
 ULTRAMETRIC = [(0, 1, 2), (2, 3, 4), (0, 2, 8), (0, 3, 8), (1, 2, 8), (1, 3, 8)]
