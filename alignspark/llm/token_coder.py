@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import struct
 import zlib
+from itertools import pairwise
 
 import numpy as np
 
@@ -128,6 +129,7 @@ class _Encoder(_Lanes):
         self.next = self.first.copy()
         # number of each id among all that come in its lane; some lanes at a time, to hold less at once
         self.kind, self.seen_len, kinds, known = np.empty(ids.shape, np.int32), lengths, [], 0
+        self.known = [0]  # kinds before each group of lanes
         for a in range(0, k, 256):
             rows = np.ascontiguousarray(ids[:, a : a + 256].T)
             order, _ = _by_lane(rows, lengths[a : a + 256])
@@ -140,14 +142,18 @@ class _Encoder(_Lanes):
             self.kind[:, a : a + 256] = kind.T
             kinds.append(new.sum(1))
             known += int(kinds[-1].sum())
-        self.kind_lane = np.repeat(self.lane, np.concatenate(kinds))
+            self.known.append(known)
+        self.kind_lane = np.repeat(self.lane.astype(np.int32), np.concatenate(kinds))
 
     def look_back(self, t: int) -> None:
         """Order-0 frequencies from the first t ids."""
-        times = np.bincount(self.kind[:t][np.arange(t)[:, None] < np.minimum(self.seen_len, t)], minlength=len(self.kind_lane))
+        times, place = np.zeros(len(self.kind_lane), np.int32), np.arange(t)[:, None]
+        for a, (lo, hi) in zip(range(0, len(self.lane), 256), pairwise(self.known), strict=True):
+            kind = self.kind[:t, a : a + 256][place < self.seen_len[a : a + 256]]
+            times[lo:hi] = np.bincount(kind - lo, minlength=hi - lo)
         seen = np.flatnonzero(times)
-        lo, n, self.escape = frequencies(self.kind_lane[seen], times[seen], len(self.lane), t)
-        self.slots = np.full(len(times), -1)  # first slot and slots of a kind together
+        lo, n, self.escape = frequencies(self.kind_lane[seen], times[seen].astype(np.int64), len(self.lane), t)
+        self.slots = np.full(len(times), -1, np.int32)  # first slot and slots of a kind together
         self.slots[seen] = lo << 13 | n
         self.ready = True
 
@@ -216,11 +222,11 @@ class _Decoder(_Lanes):
         super().__init__(len(streams), plain)
         self.ids, self.sizes = ids, sizes
         lengths = np.array([len(s) // 2 for s in streams])
-        self.words = np.frombuffer(b"".join([*streams, bytes(16)]), "<u2").astype(np.int64)
+        self.words = np.frombuffer(b"".join([*streams, bytes(16)]), "<u2")
         self.next = np.cumsum(lengths) - lengths
         self.code = np.zeros(len(streams), np.int64)
         for _ in range(3):
-            self.code = (self.code << 16) | self.words[self.next]
+            self.code = self.code << 16 | self.words[self.next]
             self.next += 1
 
     def take_in(self, lanes: np.ndarray) -> None:
@@ -231,14 +237,19 @@ class _Decoder(_Lanes):
             self.range[lanes] <<= 16
 
     def look_back(self, t: int) -> None:
-        rows = np.ascontiguousarray(self.ids[:t].T)
-        order, held = _by_lane(rows, self.sizes)
-        value, lane = np.take_along_axis(rows, order, 1)[held], np.nonzero(held)[0]
-        new = np.ones(len(value), bool)
-        new[1:] = (value[1:] != value[:-1]) | (lane[1:] != lane[:-1])
-        first = np.flatnonzero(new)
-        lane, value = lane[first], value[first].astype(self.whole)
-        lo, n, self.escape = frequencies(lane, np.diff(np.append(first, len(new))), len(self.lane), t)
+        lanes, values, counts = [], [], []
+        for a in range(0, len(self.lane), 256):  # some lanes at a time, to hold less at once
+            rows = np.ascontiguousarray(self.ids[:t, a : a + 256].T)
+            order, held = _by_lane(rows, self.sizes[a : a + 256])
+            value, lane = np.take_along_axis(rows, order, 1)[held], np.nonzero(held)[0] + a
+            new = np.ones(len(value), bool)
+            new[1:] = (value[1:] != value[:-1]) | (lane[1:] != lane[:-1])
+            first = np.flatnonzero(new)
+            lanes.append(lane[first])
+            values.append(value[first].astype(self.whole))
+            counts.append(np.diff(np.append(first, len(new))))
+        lane, value = np.concatenate(lanes), np.concatenate(values)
+        lo, n, self.escape = frequencies(lane, np.concatenate(counts), len(self.lane), t)
         self.kinds, self.kind_slots = value, lo << 13 | n
         self.slots = np.full(len(self.lane) << SCALE, -1, np.int32)
         place = np.arange(n.sum()) + np.repeat((lane << SCALE) + lo - (np.cumsum(n) - n), n)
@@ -309,6 +320,7 @@ def encode_blocks(blocks: list[np.ndarray], plain: int = 1) -> list[bytes]:
             coder.step(t, n)
         for i, s in zip(mine, coder.streams(), strict=True):
             out[i] = s
+        del coder, ids  # before the next group's are made
     return out
 
 
@@ -322,6 +334,7 @@ def decode_blocks(streams: list[bytes], lengths: list[int], plain: int = 1) -> l
         with np.errstate(divide="ignore", invalid="ignore"):  # broken bytes
             for t, n in enumerate(np.searchsorted(-sizes, -np.arange(len(ids)), "left")):
                 ids[t, :n] = coder.step(t, n)
+        del coder
         rows = np.ascontiguousarray(ids.T)
         for lane, i in enumerate(mine):
             out[i] = rows[lane, : sizes[lane]]

@@ -125,9 +125,11 @@ def write(docs: DataFrame, tokenizer_path: str, path: str, end_id: int = END_ID)
         docs, lengths, parts, held, number = [], [], [], 0, 0
 
         def segment() -> pa.RecordBatch:
+            whole = np.concatenate(parts)
+            parts.clear()  # not held beside their copy
             ids = pa.chunked_array(docs).combine_chunks()
             known = np.asarray(ids.is_valid())
-            row = [shard, number, held, np.asarray(ids.fill_null(0)).astype("<i8").tobytes(), np.packbits(~known).tobytes(), np.concatenate(lengths).astype("<i8").tobytes(), pack(np.concatenate(parts))]
+            row = [shard, number, held, np.asarray(ids.fill_null(0)).astype("<i8").tobytes(), np.packbits(~known).tobytes(), np.concatenate(lengths).astype("<i8").tobytes(), pack(whole)]
             return pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(row, (pa.int32(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["shard", "segment", "n_ids", "doc_ids", "no_id", "lengths", "data"])
 
         gc.disable()  # millions of short lists, none in a cycle
