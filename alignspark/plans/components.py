@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import ring
 from .shared import cut
 
 
@@ -23,43 +24,21 @@ def components(edges: DataFrame) -> DataFrame:
             return labels.select(F.col("a").alias("node"), F.col("label").alias("component"))
 
 
-def shingle_sets(docs: DataFrame, words: int = 5) -> DataFrame:
-    """doc_id, rep, shingles: distinct shingle hashes; texts with equal sets are one class, named by its least doc_id.
-
-    Texts of fewer words are one shingle; texts without words have none and no class.
-    """
-    w = F.filter(F.split(F.lower("text"), r"\s+"), lambda x: x != "")
-    docs = docs.select("doc_id", w.alias("w")).where("size(w) > 0")
-    n = F.greatest(F.size("w") - (words - 1), F.lit(1))
-    # shifted copies side by side: a lambda that sliced w anew for each place would take time that grows with the square
-    side = F.arrays_zip(*[F.slice("w", k + 1, n).alias(f"w{k}") for k in range(words)])
-    grams = F.transform(side, lambda x: F.xxhash64(F.concat_ws(" ", *[x[f"w{k}"] for k in range(words)])))
-    sets = docs.select("doc_id", F.array_sort(F.array_distinct(grams)).alias("shingles"))
-    sets = sets.withColumn("key", F.sha2(F.array_join("shingles", ","), 256))
-    first = sets.groupBy("key").agg(F.min("doc_id").alias("rep"))
-    return sets.join(first, "key").select("doc_id", "rep", "shingles")
-
-
 def near_copies(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> tuple[DataFrame, DataFrame]:
     """(a, b, jaccard between class representatives a < b; doc_id, rep membership), exact.
 
-    Shingles are put in order of rarity; two sets of that similarity share a shingle within the first
-    n - ceil(similarity * n) + 1 of both, so only those are joined, with a bound on lengths; then the overlap is taken.
+    Texts with equal shingle sets are one class, named by its least doc_id; texts of fewer words are one shingle, texts
+    without words have no class. Sets meet by boxes on a ring of their shingles (see ring), then the overlap is taken.
     """
-    sets = cut(shingle_sets(docs, words), "sets")
-    reps = sets.where("doc_id = rep").select(F.col("rep").alias("id"), "shingles").dropDuplicates(["id"])
-    each = reps.select("id", F.size("shingles").alias("n"), F.explode("shingles").alias("g"))
-    often = each.groupBy("g").agg(F.count("*").alias("df"))
-    ranked = each.join(often.where("df > 1"), "g").withColumn("place", F.row_number().over(Window.partitionBy("id").orderBy("df", "g")))
-    # shingles of one set only can't be shared; they come first in the order, so they use up places
-    alone = each.groupBy("id").agg(F.count("*").alias("all")).join(ranked.groupBy("id").agg(F.count("*").alias("shared")), "id").select("id", (F.col("all") - F.col("shared")).alias("alone"))
-    prefix = ranked.join(alone, "id").where(F.col("place") + F.col("alone") <= F.col("n") - F.ceil(F.col("n") * F.lit(similarity) - 1e-9) + 1).select("id", "n", "g")
-    left, right = prefix.select(F.col("id").alias("a"), F.col("n").alias("na"), "g"), prefix.select(F.col("id").alias("b"), F.col("n").alias("nb"), "g")
-    pairs = left.join(right, "g").where((F.col("a") < F.col("b")) & (F.least("na", "nb") >= F.greatest("na", "nb") * similarity - 1e-9)).select("a", "b").distinct()
-    full = pairs.join(reps.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a").join(reps.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
-    both = F.size(F.array_intersect("sa", "sb"))
-    found = full.select("a", "b", (both / (F.size("sa") + F.size("sb") - both)).alias("jaccard")).where(F.col("jaccard") >= similarity - 1e-12)
-    return found, sets.select("doc_id", "rep")
+    texts = docs.select(F.col("doc_id").cast("long"), F.lower("text").alias("text"))
+    rows = cut(ring.named(texts, words).where("size > 0"), "sketches")
+    nodes = ring.nodes_of(rows)
+    reps = nodes.select("key", "rep")
+    pairs = ring.candidates(cut(ring.filed(texts, words, similarity), "filed"))
+    found = cut(ring.similar(pairs, texts, nodes, words, similarity), "found")
+    found = found.join(reps.toDF("a", "left"), "a").join(reps.toDF("b", "right"), "b")
+    found = found.select(F.least("left", "right").alias("a"), F.greatest("left", "right").alias("b"), "jaccard")
+    return found, rows.join(reps, "key").select("doc_id", "rep")
 
 
 def near_copy_families(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
