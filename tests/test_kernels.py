@@ -246,3 +246,13 @@ def test_long_families_align_as_short_ones(monkeypatch):
             m.setattr(K, "CELLS", 100)
             assert (K.distance_matrix(seqs, "mismatch_gap", E) == d).all()
             assert K.progressive(seqs, K.neighbor_joining(d), o) == want
+
+
+def test_chain_settles_ties_as_the_scan_does():
+    rnd = np.random.default_rng(8)
+    for n in (3, 5, 9):
+        for _ in range(60):
+            d = np.triu(rnd.integers(1, 6, (n, n)).astype(float), 1)
+            d += d.T
+            for linkage in K.LINKAGES:
+                assert K.agglomerative(d, linkage, "chain").joins == K.agglomerative(d, linkage).joins
