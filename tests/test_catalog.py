@@ -141,3 +141,30 @@ def test_documents_are_folded_whole(spark, tmp_path):
     assert got == {i: sum(c.isalpha() for c in t) for i, t in enumerate(texts)} and min(got.values()) > 1500
     rows = progressive.compare(workloads.near_copy_sequences(spark, str(tmp_path)), seeds=(0,)).collect()
     assert len(rows) == 3 and all(r["cost"] > 0 and r["width"] > 1500 for r in rows)
+
+
+@pytest.mark.parametrize("name", ["align_edge_cases", "align_printed", "dp_align_pairs"])
+def test_rows_come_from_the_table(spark, sf, name):
+    rows = catalog.QUERIES[name](spark, sf)
+    seqs = tables.conversations(spark, sf)
+    families = {r["family"].rsplit("/", 1)[-1] for r in rows.select("family").collect()}
+    assert families <= {r["family"] for r in seqs.collect()} and len(families) > 1
+    if name == "align_edge_cases":
+        by = {}
+        for r in rows.collect():
+            by.setdefault(r["family"], []).append(r["aligned"])
+        assert all(len(set(map(len, x))) == 1 for x in by.values())
+        assert {f.split("/")[0] for f in by} == {"one", "two", "empty", "all_empty", "odd", "long", "same"}
+        assert all(set(x) == {""} for f, x in by.items() if f.startswith("all_empty"))
+
+
+def test_copies_are_counted_not_paired(spark):
+    from pyspark.sql import functions as F
+
+    from alignspark.operators import pairwise
+
+    seqs = spark.createDataFrame([("f", k, ["AC", "AC", "ACG", "T", "T", "T"][k]) for k in range(6)], "family string, seq_id bigint, seq string")
+    got = pairwise.distinct_pairs(seqs, 1)
+    assert {(r["a"], r["b"]): r["n"] for r in got.collect()} == {("AC", "ACG"): 2, ("AC", "T"): 6, ("ACG", "T"): 3}
+    each = pairwise.pairs(seqs).agg(F.sum(pairwise.edit_distance("a", "b"))).first()[0]
+    assert got.agg(F.sum(pairwise.edit_distance("a", "b") * F.col("n"))).first()[0] == each
