@@ -1,19 +1,21 @@
 """Near pairs of texts by their sets of word shingles, found exactly by pigeonring filtering.
 
 Sets of n and m shingles of at least a similarity s differ in D <= (n + m) (1 - s) / (1 + s) shingles. Shingles fall by
-hash into boxes on a ring, the number of boxes fixed for each power of two of the larger set's size. Of the boxes that
+hash into boxes on a ring, the number of boxes fixed for each band of the larger set's size, two bands to a power of two. Of the boxes that
 aren't empty in both sets, one of the first D + 1 must agree, with no more differences in any number of boxes after it
 than there are boxes: else stretches of at least one difference a box would cover all of them. So a set is filed under
 its first boxes that aren't empty, as many as its budget of differences and one more, each with sketches of what follows;
-two sets meet where a box is equal, the box after it differs in one bit at most, and the next eight in eight. Sets with
-too few such boxes are filed by prefix of the hash order as well, which settles pairs of two such sets. What meets is
-compared by bitmaps, then by whole sets.
+two sets meet where a box is equal, the box after it differs in one bit at most, and the next eight in eight, and where
+sizes and parities of the whole sets on 256 bits allow it, before a pair is written anywhere. Sets with too few such boxes
+are filed by prefix of the hash order as well, which settles pairs of two such sets. What meets is compared by bitmaps,
+then by whole sets.
 
 Equal sets are one node, named by a hash of the set. Nothing is sampled, and no group of sets is left out or cut.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,12 +28,16 @@ from .shared import cut, tidy
 
 #: Parts into which keys are dealt, texts whose keys go into one row for each of them.
 BUCKETS, TEXTS = 1024, 2000
-#: Nodes whose ids may be broadcast to fetch their texts; more are joined.
-BROADCAST_ROWS = 1_000_000
+#: Nodes whose ids may be broadcast to fetch their texts, and linked nodes with their labels; more are joined.
+BROADCAST_ROWS, BROADCAST_LABELS = 1_000_000, 250_000
 #: The box that follows: its distance and parities of its shingles on so many bits. FAR: further off, or none.
 BITS, FAR = 23, 31
 #: Boxes of the ring after a box whose shingles a second sketch holds, on 64 bits; on small rings that of the whole set.
 SPAN = 8
+#: Parts into which the keys with one least node are dealt, so that no task gets all of a large group's.
+TOGETHER = 4
+#: Words of 64 bits on which the parities of a whole set are held beside each of its keys.
+WHOLE = 4
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
@@ -64,6 +70,11 @@ def name_of(g: np.ndarray) -> int:
     return xxhash.xxh64_intdigest(g.tobytes())
 
 
+def first_of(band: int) -> int:
+    """Least size of a band: 2 ** (band / 2), rounded up."""
+    return math.isqrt((1 << band) - 1) + 1
+
+
 def boxes(g: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(keys, sketches of the box and of the span of boxes that follow) under which a set is filed."""
     n, keys, after, span = len(g), [np.zeros(0, np.uint64)], [np.zeros(0, np.uint32)], [np.zeros(0, np.uint64)]
@@ -71,13 +82,13 @@ def boxes(g: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray, np.
     mixed = mix64(g)
     bit = np.uint32(1) << (mixed % np.uint64(BITS)).astype(np.uint32)
     wide = np.uint64(1) << (mixed >> np.uint64(20) & np.uint64(63))
-    band = n.bit_length() - 1
-    while n and most >= 1 << band:  # bands of the larger set's size
-        top = (2 << band) - 1
+    band = 2 * n.bit_length() - 2
+    while n and most >= first_of(band):  # bands of the larger set's size
+        top = first_of(band + 1) - 1
         budget = int((n + min(most, top)) * share + 1e-9)
         salt = np.uint64((2 * band + 1) * int(_ODD) & 0xFFFFFFFFFFFFFFFF)
         band += 1
-        if not budget:  # only equal sets are so similar
+        if top < n or top < first_of(band - 1) or not budget:  # no such size, or only equal sets are so similar
             continue
         ring = np.uint64(int(2.2 * top * share) + 3)
         at = ((g >> np.uint64(32)) * ring >> np.uint64(32)).astype(np.int64)
@@ -117,6 +128,20 @@ def bitmap(g: np.ndarray) -> bytes:
     return np.packbits(np.bincount((g % np.uint64(bits)).astype(np.int64), minlength=bits).astype(np.uint8) & 1).tobytes()
 
 
+def whole(g: np.ndarray) -> np.ndarray:
+    """Parities of how many shingles fall on each of 64 * WHOLE bits."""
+    at = (mix64(g) >> np.uint64(33)) % np.uint64(64 * WHOLE)
+    return np.packbits(np.bincount(at.astype(np.int64), minlength=64 * WHOLE).astype(np.uint8) & 1).view(np.int64)
+
+
+def may_be_near(size: np.ndarray, other: int, parities: np.ndarray, of: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether sets of these sizes and parities (a row each) can be similar to one of size `other` and parities `of`: every
+    shingle of one set alone flips a bit at most, and no more than (n + m) (1 - s) / (1 + s) of them may be."""
+    most = (size + other) * ((1 - similarity) / (1 + similarity)) + 1e-9
+    apart = np.bitwise_count((parities ^ of).view(np.uint64)).sum(1, dtype=np.int64)
+    return (apart <= most) & (np.minimum(size, other) >= similarity * np.maximum(size, other) - 1e-9)
+
+
 def may_be_similar(a: bytes, b: bytes, n: int, m: int, similarity: float) -> bool:
     """Whether sets of n and m shingles with these bitmaps can be similar: shingles of one set alone flip a bit at most each."""
     x, y = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
@@ -134,27 +159,32 @@ def long_batch(names: str, *columns: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c.view(np.int64)) for c in columns], names=names.split())
 
 
+_WHOLE = [f"w{i}" for i in range(WHOLE)]
+
+
 def named(texts: DataFrame, words: int) -> DataFrame:
-    """doc_id, key (name of its set), size and bits (bitmap) of each row of texts (doc_id, text)."""
+    """doc_id, key (name of its set), size, bits (bitmap) and w0, w1, ... (whole()) of each row of texts (doc_id, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             sets = [shingles(t, words) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array([name_of(g) for g in sets], np.uint64).view(np.int64)), pa.array([len(g) for g in sets], pa.int64()), pa.array([bitmap(g) for g in sets], pa.binary())], names=["doc_id", "key", "size", "bits"])
+            parities = np.array([whole(g) for g in sets], np.int64).reshape(-1, WHOLE)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array([name_of(g) for g in sets], np.uint64).view(np.int64)), pa.array([len(g) for g in sets], pa.int64()), pa.array([bitmap(g) for g in sets], pa.binary()), *(pa.array(w) for w in parities.T.copy())], names=["doc_id", "key", "size", "bits", *_WHOLE])
 
-    return texts.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, key long, size long, bits binary")
+    return texts.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, key long, size long, bits binary, " + ", ".join(f"{w} long" for w in _WHOLE))
 
 
 def nodes_of(rows: DataFrame) -> DataFrame:
-    """key, rep (least doc_id), size, bits of each node of named()."""
-    return cut(rows.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("size").alias("size"), F.first("bits").alias("bits")), "nodes")
+    """key, rep (least doc_id), size, bits, w0, w1, ... of each node of named()."""
+    return cut(rows.groupBy("key").agg(F.min("doc_id").alias("rep"), *(F.first(c).alias(c) for c in ("size", "bits", *_WHOLE))), "nodes")
 
 
 _ENTRY = np.dtype([("g", "<u8"), ("node", "<i8"), ("after", "<u4"), ("span", "<u8")])
 
 
-def filed(texts: DataFrame, words: int, similarity: float) -> DataFrame:
-    """g, node, after, span: keys that more than one node is filed under, with these nodes and the sketches there."""
+def filed(texts: DataFrame, nodes: DataFrame, words: int, similarity: float) -> DataFrame:
+    """least, g, node, after, span, size, w0, w1, ...: keys that more than one node is filed under, with these nodes and the
+    least of them, the sketches there and those of the whole sets."""
 
     def file(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in (whole.slice(i, TEXTS) for whole in batches for i in range(0, whole.num_rows, TEXTS)):
@@ -185,13 +215,15 @@ def filed(texts: DataFrame, words: int, similarity: float) -> DataFrame:
         two = first[size == 2]
         keep[size == 2] = may_follow(after[two], after[two + 1], span[two], span[two + 1])
         keep = np.repeat(keep, size)
-        return pa.table({"g": pa.array(g[keep].view(np.int64)), "node": pa.array(node[keep]), "after": pa.array(after[keep].astype(np.int64)), "span": pa.array(span[keep].view(np.int64))})
+        least = np.repeat(node[first], size)
+        return pa.table({"least": pa.array(least[keep]), "g": pa.array(g[keep].view(np.int64)), "node": pa.array(node[keep]), "after": pa.array(after[keep].astype(np.int64)), "span": pa.array(span[keep].view(np.int64))})
 
     dealt = texts.select("text").mapInArrow(tidy(file), "bucket int, entries binary")
-    return dealt.groupBy("bucket").applyInArrow(meet, "g long, node long, after long, span long")
+    met = dealt.groupBy("bucket").applyInArrow(meet, "least long, g long, node long, after long, span long")
+    return cut(met.join(nodes.select(F.col("key").alias("node"), "size", *_WHOLE), "node").select("least", "g", "node", "after", "span", "size", *_WHOLE), "filed")
 
 
-def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarray, of: np.ndarray, turn: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarray, of: np.ndarray, size: np.ndarray, parities: np.ndarray, turn: int, similarity: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs within groups of one key, sorted by key and node, that their sketches allow and that aren't linked yet.
     turn 0: those with the least node; 1, 2, ...: one of each node, another each turn; below 0: every one."""
     starts = np.flatnonzero(np.append(True, key[1:] != key[:-1])) if len(key) else np.zeros(0, np.int64)
@@ -199,8 +231,8 @@ def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarra
     several = ends - starts > 1
     for s, e in zip(starts[several].tolist(), ends[several].tolist(), strict=True):
         for i in range(s, s + 1 if turn == 0 else e - 1):
-            to = node[i + 1 : e][(of[i + 1 : e] != of[i]) & may_follow(after[i + 1 : e], after[i], span[i + 1 : e], span[i])]
-            if len(to):
+            near = i + 1 + np.flatnonzero((of[i + 1 : e] != of[i]) & may_follow(after[i + 1 : e], after[i], span[i + 1 : e], span[i]))
+            if len(near) and len(to := node[near[may_be_near(size[near], size[i], parities[near], parities[i], similarity)]]):
                 to = to[(turn - 1) * 7 % len(to) :][:1] if turn > 0 else to
                 yield np.full(len(to), node[i]), to
 
@@ -222,13 +254,13 @@ def _ended(batches: Iterator[pa.RecordBatch], columns: int) -> Iterator[list[np.
         yield [np.concatenate(x) for x in zip(*kept, strict=True)]
 
 
-def candidates(met: DataFrame, turn: int = -1, linked: DataFrame | None = None) -> DataFrame:
+def candidates(met: DataFrame, similarity: float, turn: int = -1, linked: DataFrame | None = None) -> DataFrame:
     """a, b: nodes a < b that may be similar; linked: node, label of those that need not meet again."""
 
-    def run(batches: Iterator[pa.RecordBatch], most: int = 1 << 16) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch], most: int = 1 << 19) -> Iterator[pa.RecordBatch]:
         a, b, n = [], [], 0
-        for g, node, after, span, of in _ended(batches, 5):
-            for x, y in _pairs(g, node, after.astype(np.uint32), span.view(np.uint64), of, turn):
+        for g, node, after, span, size, of, *w in _ended(batches, 6 + WHOLE):
+            for x, y in _pairs(g, node, after.astype(np.uint32), span.view(np.uint64), of, size, np.stack(w, 1), turn, similarity):
                 a.append(x)
                 b.append(y)
                 n += len(x)
@@ -238,11 +270,14 @@ def candidates(met: DataFrame, turn: int = -1, linked: DataFrame | None = None)
         if n:
             yield long_batch("a b", *np.unique(np.stack([np.concatenate(a), np.concatenate(b)]), axis=1))
 
-    if linked is None:
-        rows = met.select("g", "node", "after", "span", F.col("node").alias("of"))
-    else:
-        rows = met.join(linked.select("node", "label"), "node", "left").select("g", "node", "after", "span", F.coalesce("label", "node").alias("of"))
-    return rows.repartition("g").sortWithinPartitions("g", "node").mapInArrow(tidy(run), "a long, b long").distinct()
+    of = F.col("node")
+    if linked is not None:
+        of, linked = F.coalesce("label", "node"), linked.select("node", "label")
+        met = met.join(F.broadcast(linked) if linked.count() <= BROADCAST_LABELS else linked, "node", "left")
+    rows = met.select("least", "g", "node", "after", "span", "size", of.alias("of"), *_WHOLE)
+    # keys with one least node mostly hold the same nodes: dealt together, a pair that meets under many is written once
+    rows = rows.repartition("least", F.pmod("g", F.lit(TOGETHER))).drop("least")
+    return rows.sortWithinPartitions("g", "node").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def similar(pairs: DataFrame, texts: DataFrame, nodes: DataFrame, words: int, similarity: float) -> DataFrame:
