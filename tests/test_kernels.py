@@ -256,3 +256,41 @@ def test_chain_settles_ties_as_the_scan_does():
             d += d.T
             for linkage in K.LINKAGES:
                 assert K.agglomerative(d, linkage, "chain").joins == K.agglomerative(d, linkage).joins
+
+
+def test_large_tables_by_diagonals():
+    import time
+
+    rnd = random.Random(21)
+    for k in range(150):
+        scheme = (E, W, U, Scoring(2, -3, -1), Scoring(4, -1, -2))[k % 5]
+        a, b = words(rnd, 2, rnd.choice([3, 30, 90]), rnd.choice(["AC", "ACGT", "AC_", "ACGT_"]))
+        if k % 3 == 0:  # near copies, for narrow bands
+            b = "".join(rnd.choice("ACGT") if rnd.random() < 0.05 else c for c in a if rnd.random() > 0.03)
+        if not a or not b:
+            continue
+        symbols, (x, y) = K.coded([a, b])
+        t = scheme.table(symbols)
+        sub = t[x[:, None], y[None, :]]
+        for tie in ("dul", "lud", "uld"):
+            assert K.moves_by_diagonals(x, y, K._kinds(t), int(scheme.gap), tie, rnd.choice([2, 64])) == K.traceback(K.table(sub, scheme.gap), sub, scheme.gap, tie)
+    assert K._kinds(Scoring.matrix({("A", "C"): 2}, -1).table(["A", "C", "G", "T"])) is None
+    # a pair without likeness, which moves_in_band takes more than twice the time for
+    a, b = ("".join(rnd.choice("ABFHM") for _ in range(9000)) for _ in range(2))
+    symbols, (x, y) = K.coded([a, b])
+    t, began = E.table(symbols), time.process_time()
+    got = K.moves_of(x, y, t, -1)
+    took, began = time.process_time() - began, time.process_time()
+    rows = t[:, y]
+    assert got == K.moves_in_band(lambda i, j0, j1: rows[x[i], j0:j1], len(x), len(y), -1, 3)
+    assert took < (time.process_time() - began) / 2
+
+
+def test_pairs_of_copies_are_taken_once(monkeypatch):
+    seen = []
+    of = K.distances
+    monkeypatch.setattr(K, "distances", lambda pairs, *rest: seen.extend(pairs) or of(pairs, *rest))
+    seqs = ["ACGT", "ACT", "ACGT", "ACT", "ACGT"]
+    d = K.distance_matrix(seqs, "mismatch_gap", E)
+    assert len(seen) == len(set(seen)) == 4
+    assert d.tolist() == [[of([(a, b) if i < j else (b, a)], "mismatch_gap", E)[0] if i != j else 0 for j, b in enumerate(seqs)] for i, a in enumerate(seqs)]
