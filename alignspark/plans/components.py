@@ -34,7 +34,7 @@ def near_copies(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> tup
     rows = cut(ring.named(texts, words).where("size > 0"), "sketches")
     nodes = ring.nodes_of(rows)
     reps = nodes.select("key", "rep")
-    pairs = ring.candidates(ring.filed(texts, nodes, words, similarity), similarity)
+    pairs = cut(ring.candidates(ring.filed(texts, nodes, words, similarity), nodes, similarity), "candidates")
     found = cut(ring.similar(pairs, texts, nodes, words, similarity), "found")
     found = found.join(reps.toDF("a", "left"), "a").join(reps.toDF("b", "right"), "b")
     found = found.select(F.least("left", "right").alias("a"), F.greatest("left", "right").alias("b"), "jaccard")

@@ -6,9 +6,10 @@ aren't empty in both sets, one of the first D + 1 must agree, with no more diffe
 than there are boxes: else stretches of at least one difference a box would cover all of them. So a set is filed under
 its first boxes that aren't empty, as many as its budget of differences and one more, each with sketches of what follows;
 two sets meet where a box is equal, the box after it differs in one bit at most, and the next eight in eight, and where
-sizes and parities of the whole sets on 256 bits allow it, before a pair is written anywhere. Sets with too few such boxes
-are filed by prefix of the hash order as well, which settles pairs of two such sets. What meets is compared by bitmaps,
-then by whole sets.
+sizes and parities of the whole sets allow it, on 256 bits and then, by bitmaps, on about a bit a shingle, before a pair is
+written anywhere. Sets with too few such boxes
+are filed by prefix of the hash order as well, which settles pairs of two such sets. What meets is compared by
+whole sets.
 
 Equal sets are one node, named by a hash of the set. Nothing is sampled, and no group of sets is left out or cut.
 """
@@ -151,6 +152,55 @@ def may_be_similar(a: bytes, b: bytes, n: int, m: int, similarity: float) -> boo
     return both >= similarity * (n + m - both) - 1e-9
 
 
+class Bitmaps:
+    """Bitmaps of a task's nodes, a matrix for each length; they come once a node, in rows without a key before all others."""
+
+    def __init__(self) -> None:
+        self.node, self.words, self.place, self.rows = [], [], [], {}
+
+    def add(self, node: list[int], bits: list[bytes]) -> None:
+        for n, b in zip(node, bits, strict=True):
+            mine = self.rows.setdefault(len(b) // 8, [])
+            self.node.append(n)
+            self.words.append(len(b) // 8)
+            self.place.append(len(mine))
+            mine.append(b)
+
+    def taken(self, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Take in the rows whose first column is null and hand on the rest; node is the second column, bits the last."""
+        for batch in batches:
+            if held := batch.column(0).null_count:
+                first = batch.slice(0, held)
+                self.add(first.column(1).to_pylist(), first.column(batch.num_columns - 1).to_pylist())
+            if held < batch.num_rows:
+                yield batch.slice(held)
+
+    def ready(self) -> None:
+        order = np.argsort(np.array(self.node, np.int64), kind="stable")
+        self.node, self.words, self.place = (np.array(x, np.int64)[order] for x in (self.node, self.words, self.place))
+        for w, b in self.rows.items():
+            self.rows[w] = np.frombuffer(b"".join(b), np.uint64).reshape(-1, w)
+
+    def may_be_similar(self, node: int, size: int, others: np.ndarray, sizes: np.ndarray, similarity: float) -> np.ndarray:
+        """As may_be_similar() of `node` with each of the others."""
+        if isinstance(self.node, list):
+            self.ready()
+        i, at = np.searchsorted(self.node, node), np.searchsorted(self.node, others)
+        own, mine, words = self.rows[int(self.words[i])][self.place[i]], int(self.words[i]), self.words[at]
+        good = np.zeros(len(others), bool)
+        for w in np.unique(words).tolist():
+            some = np.flatnonzero(words == w)
+            bits, of = self.rows[w][self.place[at[some]]], own
+            if w > mine:  # bits that meet modulo the shorter length
+                bits = np.bitwise_xor.reduce(bits.reshape(len(some), w // mine, mine), axis=1)
+            elif w < mine:
+                of = np.bitwise_xor.reduce(own.reshape(mine // w, w), axis=0)
+            all_ = sizes[some] + size
+            both = (all_ - np.bitwise_count(bits ^ of).sum(1, dtype=np.int64)) // 2
+            good[some] = both >= similarity * (all_ - both) - 1e-9
+        return good
+
+
 def common(a: np.ndarray, b: np.ndarray) -> int:
     return len(np.intersect1d(a, b, assume_unique=True))
 
@@ -223,8 +273,8 @@ def filed(texts: DataFrame, nodes: DataFrame, words: int, similarity: float) ->
     return cut(met.join(nodes.select(F.col("key").alias("node"), "size", *_WHOLE), "node").select("least", "g", "node", "after", "span", "size", *_WHOLE), "filed")
 
 
-def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarray, of: np.ndarray, size: np.ndarray, parities: np.ndarray, turn: int, similarity: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs within groups of one key, sorted by key and node, that their sketches allow and that aren't linked yet.
+def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarray, of: np.ndarray, size: np.ndarray, parities: np.ndarray, turn: int, similarity: float, bitmaps: Bitmaps | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs within groups of one key, sorted by key and node, that their sketches and bitmaps allow and that aren't linked yet.
     turn 0: those with the least node; 1, 2, ...: one of each node, another each turn; below 0: every one."""
     starts = np.flatnonzero(np.append(True, key[1:] != key[:-1])) if len(key) else np.zeros(0, np.int64)
     ends = np.append(starts[1:], len(key))
@@ -232,7 +282,11 @@ def _pairs(key: np.ndarray, node: np.ndarray, after: np.ndarray, span: np.ndarra
     for s, e in zip(starts[several].tolist(), ends[several].tolist(), strict=True):
         for i in range(s, s + 1 if turn == 0 else e - 1):
             near = i + 1 + np.flatnonzero((of[i + 1 : e] != of[i]) & may_follow(after[i + 1 : e], after[i], span[i + 1 : e], span[i]))
-            if len(near) and len(to := node[near[may_be_near(size[near], size[i], parities[near], parities[i], similarity)]]):
+            if len(near):
+                near = near[may_be_near(size[near], size[i], parities[near], parities[i], similarity)]
+            if len(near) and bitmaps:
+                near = near[bitmaps.may_be_similar(node[i], size[i], node[near], size[near], similarity)]
+            if len(to := node[near]):
                 to = to[(turn - 1) * 7 % len(to) :][:1] if turn > 0 else to
                 yield np.full(len(to), node[i]), to
 
@@ -254,13 +308,13 @@ def _ended(batches: Iterator[pa.RecordBatch], columns: int) -> Iterator[list[np.
         yield [np.concatenate(x) for x in zip(*kept, strict=True)]
 
 
-def candidates(met: DataFrame, similarity: float, turn: int = -1, linked: DataFrame | None = None) -> DataFrame:
+def candidates(met: DataFrame, nodes: DataFrame, similarity: float, turn: int = -1, linked: DataFrame | None = None) -> DataFrame:
     """a, b: nodes a < b that may be similar; linked: node, label of those that need not meet again."""
 
     def run(batches: Iterator[pa.RecordBatch], most: int = 1 << 19) -> Iterator[pa.RecordBatch]:
-        a, b, n = [], [], 0
-        for g, node, after, span, size, of, *w in _ended(batches, 6 + WHOLE):
-            for x, y in _pairs(g, node, after.astype(np.uint32), span.view(np.uint64), of, size, np.stack(w, 1), turn, similarity):
+        a, b, n, bitmaps = [], [], 0, Bitmaps()
+        for g, node, after, span, size, of, *w in _ended(bitmaps.taken(batches), 6 + WHOLE):
+            for x, y in _pairs(g, node, after.astype(np.uint32), span.view(np.uint64), of, size, np.stack(w, 1), turn, similarity, bitmaps):
                 a.append(x)
                 b.append(y)
                 n += len(x)
@@ -274,24 +328,17 @@ def candidates(met: DataFrame, similarity: float, turn: int = -1, linked: DataFr
     if linked is not None:
         of, linked = F.coalesce("label", "node"), linked.select("node", "label")
         met = met.join(F.broadcast(linked) if linked.count() <= BROADCAST_LABELS else linked, "node", "left")
-    rows = met.select("least", "g", "node", "after", "span", "size", of.alias("of"), *_WHOLE)
-    # keys with one least node mostly hold the same nodes: dealt together, a pair that meets under many is written once
-    rows = rows.repartition("least", F.pmod("g", F.lit(TOGETHER))).drop("least")
-    return rows.sortWithinPartitions("g", "node").mapInArrow(tidy(run), "a long, b long").distinct()
+    # keys with one least node mostly hold the same nodes: dealt together, a pair that meets under many is written once, and
+    # a node's bitmap goes there once
+    part = F.pmod("g", F.lit(TOGETHER)).alias("part")
+    rows = met.select("least", part, "g", "node", "after", "span", "size", of.alias("of"), *_WHOLE)
+    bits = met.select("least", part, "node").distinct().join(nodes.select(F.col("key").alias("node"), "bits"), "node")
+    rows = rows.unionByName(bits, allowMissingColumns=True).repartition("least", "part").drop("least", "part")
+    return rows.sortWithinPartitions(F.col("g").asc_nulls_first(), "node").mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def similar(pairs: DataFrame, texts: DataFrame, nodes: DataFrame, words: int, similarity: float) -> DataFrame:
-    """a, b, jaccard of the pairs (a, b) of nodes that are similar. Bitmaps do before texts are fetched: bits in which they
-    differ bound the shingles in common from above, so what they rule out is ruled out for certain."""
-
-    def rule_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            good = pa.array([may_be_similar(*x, similarity) for x in zip(*(batch.column(k).to_pylist() for k in (2, 3, 4, 5)), strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(good), batch.column(1).filter(good)], names=["a", "b"])
-
-    some = nodes.select("key", "size", "bits")
-    pairs = pairs.join(some.toDF("a", "n", "x"), "a").join(some.toDF("b", "m", "y"), "b")
-    pairs = cut(pairs.select("a", "b", "x", "y", "n", "m").mapInArrow(tidy(rule_out), "a long, b long"), "pairs")
+    """a, b, jaccard of the pairs (a, b) of nodes that are similar; pairs are those of candidates(), written."""
     need = cut(nodes.join(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "key").select("key", F.col("rep").alias("doc_id")), "need")
     few = need.count() <= BROADCAST_ROWS
 
