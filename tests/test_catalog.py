@@ -168,3 +168,13 @@ def test_copies_are_counted_not_paired(spark):
     assert {(r["a"], r["b"]): r["n"] for r in got.collect()} == {("AC", "ACG"): 2, ("AC", "T"): 6, ("ACG", "T"): 3}
     each = pairwise.pairs(seqs).agg(F.sum(pairwise.edit_distance("a", "b"))).first()[0]
     assert got.agg(F.sum(pairwise.edit_distance("a", "b") * F.col("n"))).first()[0] == each
+
+
+def test_column_pairs_of_large_families(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    n = 9000
+    rows = spark.range(n).select(F.col("id").alias("vec_id"), F.lit(1).alias("label"), F.array_repeat(F.when(F.col("id") == 0, -0.5).otherwise(0.5), 64).alias("embedding"))
+    rows.write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = [tuple(r) for r in catalog.QUERIES["column_pairs_printed"](spark, str(tmp_path)).collect()]
+    assert got == [("1", 64 * (n - 1) * (n - 2) // 2, 64 * (n - 1), 0)] and got[0][1] > 1 << 31
