@@ -178,3 +178,20 @@ def test_column_pairs_of_large_families(spark, tmp_path):
     rows.write.parquet(f"{tmp_path}/embeddings.parquet")
     got = [tuple(r) for r in catalog.QUERIES["column_pairs_printed"](spark, str(tmp_path)).collect()]
     assert got == [("1", 64 * (n - 1) * (n - 2) // 2, 64 * (n - 1), 0)] and got[0][1] > 1 << 31
+
+
+def test_edits_of_blocks_are_those_of_pairs(spark):
+    import random
+
+    from pyspark.sql import functions as F
+
+    from alignspark.operators import pairwise
+
+    rnd = random.Random(9)
+    texts = ["".join(rnd.choice("ACGTé") for _ in range(rnd.choice([0, 1, 3, 6, 6, 9, 80]))) for _ in range(200)]
+    seqs = spark.createDataFrame([("fg"[k % 2], k, rnd.choice(texts)) for k in range(500)], "family string, seq_id bigint, seq string")
+    want = {r["family"]: r["edits"] for r in pairwise.pairs(seqs).groupBy("family").agg(F.sum(pairwise.edit_distance("a", "b")).alias("edits")).collect()}
+    for block, together in ((1, 30), (400, 20)):
+        both = pairwise.distinct_pairs(seqs, block, together).withColumn("edits", pairwise.edit_distance("a", "b", counts=("na", "nb")))
+        got = {r["family"]: r["edits"] for r in both.groupBy("family").agg(F.sum(F.expr("shiftright(edits, twice)")).alias("edits")).collect()}
+        assert got == want and (together == 20) == (both.count() == 2)
