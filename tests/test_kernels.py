@@ -294,3 +294,24 @@ def test_pairs_of_copies_are_taken_once(monkeypatch):
     d = K.distance_matrix(seqs, "mismatch_gap", E)
     assert len(seen) == len(set(seen)) == 4
     assert d.tolist() == [[of([(a, b) if i < j else (b, a)], "mismatch_gap", E)[0] if i != j else 0 for j, b in enumerate(seqs)] for i, a in enumerate(seqs)]
+
+
+def test_near_copies_take_the_path_of_the_whole_table(monkeypatch):
+    rnd = random.Random(8)
+    scoring, ends = Scoring.experiment(), []
+    for _ in range(12):
+        a = [rnd.choice("ACGT") for _ in range(rnd.randint(300, 500))]
+        b = [c if rnd.random() > 0.04 else rnd.choice(["", "A", "GT", "_"]) for c in a]
+        symbols, (x, y) = K.coded([a, "".join(b)], "_")
+        t = scoring.table(symbols)
+        sub = t[x[:, None], y[None, :]]
+        moves = K.near_moves(x, y, t, scoring.gap)
+        assert moves == K.traceback(K.table(sub, scoring.gap), sub, scoring.gap)
+        ends.append(("".join(a), "".join(b).replace("_", "")))
+    want = [K.path_counts([p], scoring)[0].tolist() for p in ends]
+    monkeypatch.setattr(K, "_like", None)  # no whole tables
+    monkeypatch.setattr(K, "table", None)
+    assert K.path_counts(ends, scoring).tolist() == want
+    seqs = [*ends[0], ends[0][0]]
+    rows, _ = K.progressive(seqs, K.caterpillar(3), K.Options(scoring=scoring), "f")
+    assert [r.replace("_", "") for r in rows] == seqs
